@@ -72,6 +72,7 @@ def source_targets(sized: DataFrame, weights=SOURCE_WEIGHTS, cap: int = MAX_REPE
 def mix(
     docs: DataFrame,
     quality: Column | None = None,
+    labels: DataFrame | None = None,
     id_col: str = "doc_id",
     text_col: str = "text",
     source_col: str = "source",
@@ -81,12 +82,18 @@ def mix(
 ) -> DataFrame:
     """(doc_id, source, size, source_size, target, copies, taken), one row per row of ``docs``.
 
-    ``quality`` is the sampling weight of a row, 1 if not given. A row is chosen for
-    the last, partial epoch while the larger part of it fits into the budget.
+    ``quality`` is the sampling weight of a row; without it the weight comes from
+    ``labels`` (doc_id, quality), and without either it is 1. A row is chosen for the
+    last, partial epoch while the larger part of it fits into the budget.
     """
-    weight = F.greatest(F.coalesce(quality if quality is not None else F.lit(1.0), F.lit(1e-6)), F.lit(1e-6))
     size = word_count(text_of(text_col))
-    sized = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), size.alias("size"), weight.alias("weight"))
+    sized = docs.select(
+        F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), size.alias("size"),
+        (quality if quality is not None else F.lit(1.0)).alias("weight"),
+    )
+    if quality is None and labels is not None:  # joined to sizes, so that no text is shuffled
+        sized = with_quality(sized.drop("weight"), labels).withColumnRenamed("quality_weight", "weight")
+    sized = sized.withColumn("weight", F.greatest(F.coalesce("weight", F.lit(1e-6)), F.lit(1e-6)))
     sized = sized.withColumn("key", -F.log(uniform(F.col("doc_id"), F.col("size"))) / F.col("weight"))
     # 1 - exp(-key) grows with the key and spreads keys of weight 1 evenly.
     sized = cut(
