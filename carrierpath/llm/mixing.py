@@ -49,13 +49,11 @@ def fill_targets(sources: DataFrame, total: Column, cap: int) -> DataFrame:
         .withColumn("left_weight", F.sum("weight").over(order.rowsBetween(0, Window.unboundedFollowing)))
         .withColumn("level", (total - F.col("spent")) / F.col("left_weight"))
     )
-    everyone = Window.partitionBy()
     # The level at the first source that stays below its cap holds for all after it.
-    final = F.min(F.when(F.col("level") <= F.col("ratio"), F.col("level"))).over(everyone)
-    first = F.min(F.when(F.col("level") <= F.col("ratio"), F.col("ratio"))).over(everyone)
-    capped = first.isNull() | (F.col("ratio") < first)
+    first = F.min(F.when(F.col("level") <= F.col("ratio"), F.struct("ratio", (-F.col("level")).alias("minus")))).over(Window.partitionBy())
+    capped = first.isNull() | (F.col("ratio") < first["ratio"])
     return walk.select(
-        "source", "source_size", F.when(capped, F.col("most")).otherwise(F.col("weight") * final).alias("target")
+        "source", "source_size", F.when(capped, F.col("most")).otherwise(-F.col("weight") * first["minus"]).alias("target")
     )
 
 

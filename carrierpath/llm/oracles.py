@@ -28,11 +28,10 @@ walk AS (
            / sum(share) OVER (ORDER BY most / share, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level
   FROM weighted
 ),
+first AS (SELECT ratio AS edge, level AS final FROM walk WHERE level <= ratio ORDER BY ratio, level DESC LIMIT 1),
 targets AS (
-  SELECT source, source_size,
-         CASE WHEN first IS NULL OR ratio < first THEN most ELSE share * final END AS target
-  FROM (SELECT *, min(CASE WHEN level <= ratio THEN level END) OVER () AS final,
-               min(CASE WHEN level <= ratio THEN ratio END) OVER () AS first FROM walk)
+  SELECT source, source_size, CASE WHEN edge IS NULL OR ratio < edge THEN most ELSE share * final END AS target
+  FROM walk LEFT JOIN first ON true
 ),
 plan AS (
   SELECT *, CASE WHEN source_size > 0 THEN least(floor(target / source_size), 3) ELSE 0 END::BIGINT AS epochs FROM targets
