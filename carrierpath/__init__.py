@@ -1,0 +1 @@
+"""Carrier rows, graph views, walks and the context prefix coder, as Spark plans."""
