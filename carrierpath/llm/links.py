@@ -20,12 +20,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, partitions
+from .common import cut, partitions, sized
 
 #: Candidates of one query that are searched at once, and that go to one task.
 BLOCK, PER_TASK = 512, 4096
 #: Rounds against single members before pairs of classes are tried.
-ROUNDS = 3
+ROUNDS = 2
+#: Most pairs (under 50 bytes each) that are broadcast to meet their sets, so that the sets are not shuffled.
+BROADCAST_PAIRS = 500_000
 
 
 # T-occurrence search ------------------------------------------------------------------
@@ -90,18 +92,14 @@ def search_block(query: np.ndarray, block: list[np.ndarray], percent: int) -> np
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int = 80) -> DataFrame:
-    """The pairs (x, y) whose sets (doc, hashes) are similar enough; x is the query, its ys the searched block."""
+    """The pairs (x, y), a table that was cut, whose sets (doc, hashes) are similar enough; x is the query, its ys the searched block."""
     counted = pairs.groupBy("x").agg(F.count(F.lit(1)).alias("n")).select("x", F.ceil(F.col("n") / PER_TASK).cast("int").alias("parts"))
     counted = cut(counted)
-    queries = counted.join(sets.select(F.col("doc").alias("x"), "hashes"), "x").select(
+    queries = sets.select(F.col("doc").alias("x"), "hashes").join(sized(counted, BROADCAST_PAIRS), "x").select(
         "x", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(-1).cast("long").alias("y"), F.lit(0).alias("kind"), "hashes"
     )
-    blocks = (
-        pairs.join(counted, "x")
-        .select("x", F.pmod(F.xxhash64("y"), F.col("parts")).cast("int").alias("part"), "y")
-        .join(sets.select(F.col("doc").alias("y"), "hashes"), "y")
-        .select("x", "part", "y", F.lit(1).alias("kind"), "hashes")
-    )
+    placed = cut(pairs.join(counted, "x").select("x", F.pmod(F.xxhash64("y"), F.col("parts")).cast("int").alias("part"), "y"))
+    blocks = sets.select(F.col("doc").alias("y"), "hashes").join(sized(placed, BROADCAST_PAIRS), "y").select("x", "part", "y", F.lit(1).alias("kind"), "hashes")
 
     def run(batches):
         query, at, ids, block = None, None, [], []

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, partitions, text_of
+from .common import cut, partitions, sized, text_of
 from .links import classes
 from .minhash import WORDS, shingle_sets
 
@@ -36,6 +36,8 @@ PERCENT = 80
 EXTRA = 10
 #: Shingle hashes whose prefixes are counted together in a task.
 CHUNK = 1 << 21
+#: Most ids of documents with possible partners that are broadcast; with more, the texts are shuffled to meet them.
+BROADCAST_IDS = 2_000_000
 
 
 def need(n: int, percent: int = PERCENT) -> int:
@@ -65,14 +67,40 @@ def described(docs: DataFrame, words: int = WORDS) -> DataFrame:
     return docs.mapInArrow(run, "doc long, n long, key binary")
 
 
-def shared_counts(docs: DataFrame, buckets: int, words: int = WORDS, percent: int = PERCENT, more: int = EXTRA) -> DataFrame:
-    """(doc, shared, n, key) to be summed by doc: how many shingles of its extended prefix other documents may share.
+#: What the tasks of the prefix count send each other: for a bucket of hashes, hashes and documents; for a bucket
+#: of documents (from -1 downwards), documents and counts, and sizes and set digests where they are told.
+_PACKED = "bucket long, a binary, b binary, sizes binary, keys binary"
 
-    One row of each set and chunk counts; n and key stand in one of a document's rows.
+
+def _packed(rows) -> pa.RecordBatch:
+    kinds = (pa.int64(), *[pa.binary()] * 4)
+    return pa.record_batch([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=["bucket", "a", "b", "sizes", "keys"])
+
+
+def _parted(bucket: np.ndarray, *columns: np.ndarray):
+    """(bucket, parts of the columns) for each bucket that occurs."""
+    order = np.argsort(bucket, kind="stable")
+    bucket = bucket[order]
+    first = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]]))
+    return zip(bucket[first].tolist(), *[np.split(c[order], first[1:]) for c in columns], strict=True)
+
+
+def _runs(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where runs of equal sorted values begin, and their lengths."""
+    first = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]]))
+    return first, np.diff(np.append(first, len(values)))
+
+
+def candidates(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, more: int = EXTRA) -> DataFrame:
+    """(doc, key) of the documents, one for each different set, that may have a partner.
+
+    Three passes over packed arrays: tasks send each hash of their prefixes once, with the document or -1 if
+    several have it; buckets of hashes find what several tasks or documents have, and count
+    it by document; buckets of documents add up. Rows of a set that a task has seen already are not sent again.
     """
+    buckets = partitions(docs.sparkSession)
 
     def send(batches):
-        """Rows (bucket, hashes, docs): every hash of a chunk once, with the document or -1 if several have it; in buckets below 0: (doc, n, key, count) so far."""
         seen: set[bytes] = set()
         ids, sizes, keys, prefixes = [], [], [], []
         held = 0
@@ -83,26 +111,18 @@ def shared_counts(docs: DataFrame, buckets: int, words: int = WORDS, percent: in
             owner = np.repeat(np.arange(len(ids)), [len(p) for p in prefixes])
             order = np.argsort(hashes, kind="stable")
             hashes, owner = hashes[order], owner[order]
-            first = np.flatnonzero(np.concatenate([[True], hashes[1:] != hashes[:-1]]))
-            count = np.diff(np.append(first, len(hashes)))
-            several = np.repeat(count > 1, count)
-            local = np.bincount(owner[several], minlength=len(ids))
+            first, count = _runs(hashes)
+            local = np.bincount(owner[np.repeat(count > 1, count)], minlength=len(ids)).astype(np.int64)
             number = np.asarray(ids, dtype=np.int64)
-            sent = hashes[first]
             whose = np.where(count > 1, -1, number[owner[first]])
-            bucket = (_scrambled(sent) % np.uint64(buckets)).astype(np.int64)
-            by = np.argsort(bucket, kind="stable")
-            sent, whose, bucket = sent[by], whose[by], bucket[by]
-            ends = np.flatnonzero(np.diff(bucket)) + 1
-            rows = [(int(k[0]), h.tobytes(), w.tobytes(), None) for k, h, w in zip(np.split(bucket, ends), np.split(sent, ends), np.split(whose, ends), strict=True)]
-            known = [{"doc": d, "n": n, "key": k, "shared": int(c)} for d, n, k, c in zip(ids, sizes, keys, local, strict=True)]
-            ids_first = ids[0]
+            sent = hashes[first]
+            rows = [(k, h.tobytes(), w.tobytes(), None, None) for k, h, w in _parted((_scrambled(sent) % np.uint64(buckets)).astype(np.int64), sent, whose)]
+            own = np.array(keys, dtype="S16").view(np.uint8).reshape(len(ids), 16) if ids else np.zeros((0, 16), np.uint8)
+            rows += [(k, d.tobytes(), c.tobytes(), n.tobytes(), o.tobytes()) for k, d, c, n, o in _parted(-1 - number % buckets, number, local, np.asarray(sizes, dtype=np.int64), own)]
             for x in (ids, sizes, keys, prefixes):
                 x.clear()
             held = 0
-            kind = pa.list_(pa.struct([("doc", pa.int64()), ("n", pa.int64()), ("key", pa.binary()), ("shared", pa.int64())]))
-            rows.append((-1 - ids_first % buckets, None, None, known))
-            return pa.record_batch([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.binary(), pa.binary(), kind), strict=True)], names=["bucket", "hashes", "docs", "known"])
+            return _packed(rows)
 
         for b in batches:
             for doc, own in zip(b.column(0).to_pylist(), shingle_sets(b.column(1).to_pylist(), words), strict=True):
@@ -121,37 +141,48 @@ def shared_counts(docs: DataFrame, buckets: int, words: int = WORDS, percent: in
         if ids:
             yield flush()
 
-    def meet(batches):
-        """For the rows of each bucket together: the documents whose hashes came from several chunks or documents."""
+    def by_bucket(batches):
         at, parts = None, []
-
-        def count():
-            hashes = np.concatenate([np.frombuffer(h, dtype=np.uint64) for h, _ in parts])
-            docs = np.concatenate([np.frombuffer(d, dtype=np.int64) for _, d in parts])
-            parts.clear()
-            order = np.argsort(hashes, kind="stable")
-            hashes, docs = hashes[order], docs[order]
-            first = np.flatnonzero(np.concatenate([[True], hashes[1:] != hashes[:-1]]))
-            n = np.diff(np.append(first, len(hashes)))
-            docs = docs[np.repeat(n > 1, n)]
-            docs, n = np.unique(docs[docs >= 0], return_counts=True)
-            none = pa.nulls(len(docs), pa.int64()), pa.nulls(len(docs), pa.binary())
-            return pa.record_batch([pa.array(docs, pa.int64()), pa.array(n, pa.int64()), *none], names=["doc", "shared", "n", "key"])
-
         for b in batches:
-            for bucket, hashes, docs, known in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                if bucket < 0:
-                    yield pa.record_batch([pa.array([k[c] for k in known], t) for c, t in (("doc", pa.int64()), ("shared", pa.int64()), ("n", pa.int64()), ("key", pa.binary()))], names=["doc", "shared", "n", "key"])
-                    continue
+            for bucket, *row in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 if bucket != at and parts:
-                    yield count()
+                    yield at, parts
+                    parts = []
                 at = bucket
-                parts.append((hashes, docs))
+                parts.append(row)
         if parts:
-            yield count()
+            yield at, parts
 
-    sent = docs.mapInArrow(send, "bucket long, hashes binary, docs binary, known array<struct<doc:long,n:long,key:binary,shared:long>>")
-    return sent.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(meet, "doc long, shared long, n long, key binary")
+    def joined(parts, i, kind=np.int64):
+        return np.concatenate([np.frombuffer(p[i], dtype=kind) for p in parts if p[i] is not None])
+
+    def meet(batches):
+        for bucket, parts in by_bucket(batches):
+            if bucket < 0:
+                yield _packed([(bucket, *p) for p in parts])
+                continue
+            hashes, docs_ = joined(parts, 0, np.uint64), joined(parts, 1)
+            order = np.argsort(hashes, kind="stable")
+            _, n = _runs(hashes[order])
+            docs_ = docs_[order][np.repeat(n > 1, n)]
+            docs_, n = np.unique(docs_[docs_ >= 0], return_counts=True)
+            if len(docs_):
+                yield _packed([(k, d.tobytes(), c.tobytes(), None, None) for k, d, c in _parted(-1 - docs_ % buckets, docs_, n.astype(np.int64))])
+
+    def add(batches):
+        for _, parts in by_bucket(batches):
+            docs_, place = np.unique(joined(parts, 0), return_inverse=True)
+            shared, told = np.bincount(place, weights=joined(parts, 1)), [p for p in parts if p[2] is not None]
+            known, sizes, keys = joined(told, 0), joined(told, 2), joined(told, 3, np.uint8).reshape(-1, 16)
+            # The partner may be as small as need(n), and shares its own number of extra shingles.
+            least = np.maximum(1, (percent * sizes + 99) // 100 * more // 100)
+            alive = shared[np.searchsorted(docs_, known)] >= least
+            yield pa.record_batch([pa.array(known[alive]), pa.array([k.tobytes() for k in keys[alive]], pa.binary())], names=["doc", "key"])
+
+    packed = docs.where(F.col("doc").isNotNull()).mapInArrow(send, _PACKED)
+    met = packed.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(meet, _PACKED)
+    alive = met.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(add, "doc long, key binary")
+    return alive.groupBy("key").agg(F.min("doc").alias("doc"))
 
 
 def _scrambled(h: np.ndarray) -> np.ndarray:
@@ -159,15 +190,6 @@ def _scrambled(h: np.ndarray) -> np.ndarray:
     return (h * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(40)
 
 
-def candidates(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, more: int = EXTRA) -> DataFrame:
-    """(doc, key) of the documents, one for each different set, that may have a partner."""
-    parts = shared_counts(docs.where(F.col("doc").isNotNull()), partitions(docs.sparkSession), words, percent, more)
-    total = parts.groupBy("doc").agg(F.sum("shared").alias("shared"), F.max("n").alias("n"), F.max("key").alias("key"))
-    # The partner may be as small as need(n), and shares its own number of extra shingles.
-    least = F.greatest(F.lit(1), F.floor(F.ceil(F.col("n") * percent / 100) * more / 100))
-    return total.where(F.col("shared") >= least).groupBy("key").agg(F.min("doc").alias("doc"))
-
-
 def whole_sets(docs: DataFrame, words: int = WORDS) -> DataFrame:
     """(doc, hashes) with the sorted distinct shingle hashes of each text."""
 
@@ -196,7 +218,7 @@ def join_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     texts = docs.select(F.col(id_col).cast("long").alias("doc"), text_of(text_col).alias("text"))
     every = cut(described(texts, words))
     alive = cut(candidates(texts, words, percent))
-    sets = cut(whole_sets(texts.join(alive.select("doc"), "doc", "left_semi"), words).dropDuplicates(["doc"]))
+    sets = cut(whole_sets(texts.join(sized(alive.select("doc"), BROADCAST_IDS), "doc", "left_semi"), words).dropDuplicates(["doc"]))
     lists = cut(rare_first_lists(sets, percent))
     linked = classes(lists, sets, percent)
     # Classes of sets: every row with the set of a linked document belongs to its class.
