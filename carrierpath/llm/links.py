@@ -182,14 +182,21 @@ def classes(lists: DataFrame, sets: DataFrame, percent: int = 80, rounds: int =
         own = lists if none_yet else lists.join(label, "doc", "left")
         own = own.withColumn("class", F.col("doc") if none_yet else F.coalesce("root", "doc")).select("key", "doc", "class")
         if turn < rounds:
-            hub = F.min(F.struct(F.xxhash64(F.lit(turn), "doc").alias("h"), "doc", "class")).alias("hub")
+            # The least id first, as what was copied mostly comes before its copies; then any other member.
+            first = F.col("doc") if turn == 0 else F.xxhash64(F.lit(turn), "doc")
+            hub = F.min(F.struct(first.alias("h"), "doc", "class")).alias("hub")
             hubs = own.groupBy("key").agg(hub, F.min("class").alias("a"), F.max("class").alias("z")).where("a <> z").select("key", "hub")
             pairs = own.join(hubs, "key").where("class <> hub.class").select(F.col("hub.doc").alias("x"), F.col("doc").alias("y"))
         else:
             mixed = own.groupBy("key").agg(F.min("class").alias("a"), F.max("class").alias("z")).where("a <> z").select("key")
-            left = cut(own.join(mixed, "key", "left_semi"))
-            other = left.select("key", F.col("doc").alias("other"), F.col("class").alias("its_class"))
-            pairs = left.join(other, "key").where("class < its_class").select(F.col("doc").alias("x"), F.col("other").alias("y"))
+            left = cut(own.join(mixed, "key", "left_semi").join(sets.select("doc", F.size("hashes").alias("n")), "doc"))
+            keys = left.groupBy("doc").agg(F.collect_list("key").alias("keys"))  # as many as a document has lists
+            left = cut(left.join(keys, "doc"))
+            other = left.select("key", F.col("doc").alias("other"), F.col("class").alias("its_class"), F.col("n").alias("its_n"), F.col("keys").alias("its_keys"))
+            # A pair is made once, in the least of its common lists, and only if its sizes allow a link.
+            fits = (F.col("n") * 100 >= F.col("its_n") * percent) & (F.col("its_n") * 100 >= F.col("n") * percent)
+            once = F.array_min(F.array_intersect("keys", "its_keys")) == F.col("key")
+            pairs = left.join(other, "key").where((F.col("class") < F.col("its_class")) & fits & once).select(F.col("doc").alias("x"), F.col("other").alias("y"))
         pairs = pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "x", "y").groupBy("a", "b").agg(F.min(F.struct("x", "y")).alias("p")).select("a", "b", "p.x", "p.y")
         if not none_yet or turn:
             pairs = pairs.join(tried.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), ["a", "b"], "left_anti")
