@@ -721,8 +721,13 @@ def _replayed(s, d, make, mode):
     """The rows of a stream of the event table, after all its files."""
     cut(s.range(1))
     folder = f"{s.sparkContext.getCheckpointDir()}/stream-{uuid.uuid4().hex}"
-    # Files in time order: the stream must see a user's events in order.
-    table(s, d, "events").repartitionByRange(4, "ts").sortWithinPartitions("ts").write.parquet(f"{folder}/in")
+    # A replay: the file source takes files by age, so they are written one after another in time order.
+    events = table(s, d, "events").withColumn("_at", F.unix_timestamp("ts"))
+    bounds = [None, *events.approxQuantile("_at", [0.25, 0.5, 0.75], 0.01), None]
+    for lo, hi in zip(bounds, bounds[1:], strict=False):
+        part = events if lo is None else events.where(F.col("_at") >= lo)
+        part = part if hi is None else part.where(F.col("_at") < hi)
+        part.drop("_at").coalesce(1).sortWithinPartitions("ts").write.mode("append").parquet(f"{folder}/in")
     stream = make(streams.replay(s, f"{folder}/in"))
     if mode == "append":
         run = stream.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/log").outputMode("append").trigger(availableNow=True).start()
