@@ -55,7 +55,7 @@ STAGES = [
     ("byte_bpe", encode),
 ]
 
-#: SQL can express neither the trained first stage nor the encoder; tests compare run() with a brute-force version.
+#: SQL can express neither the trained first stage nor the encoder.
 ORACLE_SQL = None
 
 
