@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -10,8 +11,10 @@ from pyspark.sql import types as T
 
 from . import markov, prefix
 
-#: Largest codebook (rows of about 100 bytes) that decoders get by broadcast.
-BROADCAST_ROWS = 2_000_000
+#: Largest codebook (25 bytes a row, packed) that decoders get by broadcast.
+BROADCAST_ROWS = 8_000_000
+#: Code rows of contexts that a decoder keeps unpacked.
+UNPACKED_ROWS = 500_000
 #: Symbols after which a decoder gives up.
 MAX_SYMBOLS = 100_000_000
 
@@ -57,21 +60,34 @@ def encode_blocks(paths: DataFrame, codebook: DataFrame, block: int = 4096) -> D
 
 
 class Decoder:
-    """Tries of all contexts as maps from (context, bits so far) to a symbol."""
+    """Tries of all contexts as maps from bits so far to a symbol, unpacked when a context is first met."""
 
-    def __init__(self, rows, escape: str = "off", width: int = 0):
+    def __init__(self, packed, escape: str = "off", width: int = 0):
+        self.ctx, self.sym, self.size, self.value = packed  # in the order of ctx
         self.codes: dict[int, dict[str, int]] = {}
-        for ctx, sym, code in rows:
-            self.codes.setdefault(ctx, {})[code] = sym
-        self.longest = {c: max(map(len, t)) for c, t in self.codes.items()}
+        self.longest: dict[int, int] = {}
+        self.held = 0
         self.escape, self.width = escape, width
 
+    def of(self, ctx: int) -> dict[str, int] | None:
+        own = self.codes.get(ctx)
+        if own is None:
+            lo, hi = np.searchsorted(self.ctx, [ctx, ctx + 1]).tolist()
+            if lo == hi:
+                return None
+            if self.held > UNPACKED_ROWS:
+                self.codes, self.longest, self.held = {}, {}, 0
+            rows = zip(self.sym[lo:hi].tolist(), self.size[lo:hi].tolist(), self.value[lo:hi].tolist(), strict=True)
+            own = self.codes[ctx] = {f"{v:0{n}b}" if n else "": x for x, n, v in rows}
+            self.longest[ctx], self.held = int(self.size[lo:hi].max()), self.held + hi - lo
+        return own
+
     def steps(self, data: bytes, n_bits: int, ctx: int = markov.START, most: int = MAX_SYMBOLS):
         """(ctx, code, symbol or status text, bit offset) of every step; a status other than 'ok' is the last step."""
         text = bin(int.from_bytes(b"\x01" + data, "big"))[3:][:n_bits] if data else ""
         at = 0
         for _ in range(most):
-            own = self.codes.get(ctx)
+            own = self.of(ctx)
             if own is None:
                 yield ctx, "", "invalid_prefix", at
                 return
@@ -105,8 +121,11 @@ def _decoder(codebook: DataFrame, escape: str, width: int):
     """The codebook, of a checked size, as a broadcast decoder."""
     if codebook.limit(BROADCAST_ROWS + 1).count() > BROADCAST_ROWS:
         raise ValueError(f"codebook above {BROADCAST_ROWS} rows: decode with the codebooks of parts of the walks")
-    rows = [tuple(r) for r in codebook.select("ctx", "sym", "code").collect()]
-    return codebook.sparkSession.sparkContext.broadcast((rows, escape, width))
+    value = F.when(F.col("code") == "", F.lit(0)).otherwise(F.conv("code", 2, 10).cast("long"))
+    got = codebook.select("ctx", "sym", F.length("code").cast("byte").alias("size"), value.alias("value")).toArrow()
+    columns = [c.to_numpy() for c in got.columns]
+    order = np.argsort(columns[0], kind="stable")
+    return codebook.sparkSession.sparkContext.broadcast(([c[order] for c in columns], escape, width))
 
 
 def _run(encoded: DataFrame, codebook: DataFrame, schema: str, make, escape: str = "off", width: int = 0) -> DataFrame:

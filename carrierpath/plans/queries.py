@@ -519,8 +519,8 @@ STEPS: dict[str, Query] = {
     "events": fx.event_paths, "roles": fx.role_paths, "brands": fx.brand_paths, "tags": fx.tag_paths, "words": fx.word_paths,
     "words_short": lambda s, d: fx.word_paths(s, d, 400), "walk_supplier": lambda s, d: _walk_labels(s, d, "supplier"), "walk_customer": lambda s, d: _walk_labels(s, d, "customer"),
 }
-#: Path fixtures whose codes SQL builds too.
-CODED = ("events", "roles", "brands", "walk_supplier", "words_short")
+#: Path fixtures whose codes SQL builds too ("words_short" is no more than a sample for that), and the words of all documents.
+CODED = ("events", "roles", "brands", "walk_supplier", "words_short", "words")
 
 
 def _steps(s, d, name):
@@ -583,10 +583,10 @@ for _name in CODED:
     _add(f"coder_comparison_{_name}", lambda s, d, n=_name: diag.comparison(cut(_book(s, d, n))))
 for _name in ("events", "roles", "brands", "walk_supplier"):
     _add(f"canonical_codes_{_name}", lambda s, d, n=_name: _book(s, d, n).select("ctx", "sym", "code"))
-for _name in ("walk_customer", "words", "tags"):
+for _name in ("walk_customer", "tags"):
     _add(f"global_diagnostics_{_name}", lambda s, d, n=_name: diag.global_(cut(_book(s, d, n))))
     _add(f"coder_comparison_{_name}", lambda s, d, n=_name: diag.comparison(cut(_book(s, d, n))))
-for _name in ("events", "roles", "walk_supplier", "words_short"):
+for _name in ("events", "roles", "walk_supplier", "words_short", "words"):
 
     def _decoded(s, d, n=_name):
         paths = cut(_paths(s, d, n)[0])
@@ -635,9 +635,8 @@ def _(s, d):
     return codec.verify(paths, codec.encode(paths, book), book).agg(F.count(F.lit(1)).alias("violations"))
 
 
-@query("kraft_check")
-def _(s, d):
-    return prefix.verify(_book(s, d, "words_short")).select("ctx", "symbols", "kraft")
+for _suffix, _name in (("", "words_short"), ("_words", "words")):
+    _add(f"kraft_check{_suffix}", lambda s, d, n=_name: prefix.verify(_book(s, d, n)).select("ctx", "symbols", "kraft"))
 
 
 @query("prefix_free_check")
@@ -661,13 +660,16 @@ def _(s, d):
     return out
 
 
-@query("min_events_sweep")
-def _(s, d):
-    book, out = cut(_book(s, d, "words_short")), None
-    for m in (1, 10, 100):
-        one = diag.global_(book, m).select(F.lit(m).cast("long").alias("min_events"), "contexts_kept", "h_global", "l_global")
-        out = one if out is None else out.unionByName(one)
-    return out
+for _suffix, _name in (("", "words_short"), ("_words", "words")):
+
+    def _swept(s, d, n=_name):
+        book, out = cut(_book(s, d, n)), None
+        for m in (1, 10, 100):
+            one = diag.global_(book, m).select(F.lit(m).cast("long").alias("min_events"), "contexts_kept", "h_global", "l_global")
+            out = one if out is None else out.unionByName(one)
+        return out
+
+    _add(f"min_events_sweep{_suffix}", _swept)
 
 
 @query("signature_modes")
