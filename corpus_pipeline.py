@@ -16,14 +16,12 @@ from carrierpath.llm.common import shared_folder, table
 from carrierpath.llm.queries import VOCABULARY
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
-#: Documents are rejected from this probability of being toxic on.
-REJECTED = 0.5
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the toxicity operator rejects go."""
+    """Documents that the toxicity operator predicts toxic go."""
     scored = toxicity.score_documents(docs, table(spark, sf_dir, "labels"))
-    rejected = scored.where(scored.score >= REJECTED).select("doc_id").distinct()
+    rejected = scored.where("predicted = 1").select("doc_id").distinct()
     return docs.join(rejected, "doc_id", "left_anti").select(*COLUMNS)
 
 
