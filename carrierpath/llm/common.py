@@ -44,6 +44,19 @@ def text_of(name: str = "text") -> Column:
     return F.coalesce(F.col(name).cast("string"), F.lit(""))
 
 
+def row_key(id_col: Column, text: Column) -> Column:
+    """A digest of id and text, never null: null ids differ from all others, null texts count as empty."""
+    own = F.coalesce(F.concat(F.lit("i"), id_col.cast("string")), F.lit("n"))
+    return F.sha2(F.concat(F.sha2(own.cast("binary"), 256), F.coalesce(text.cast("string"), F.lit(""))).cast("binary"), 256)
+
+
+def one_of_each_key(rows: DataFrame, key: str) -> DataFrame:
+    """One row of each key, which is a column of ``rows``: always the same one, whatever the order of the rows."""
+    cols = [c for c in rows.columns if c != key]
+    own = rows.groupBy(key).agg(F.min_by(F.struct(*cols), F.xxhash64(*cols)).alias("_own"))
+    return own.select(key, "_own.*")
+
+
 def word_count(text: Column) -> Column:
     """Number of runs of anything but white space."""
     # Runs begin where a non-space follows a space or the start; counting the

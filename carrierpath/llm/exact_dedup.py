@@ -12,7 +12,8 @@ send that third to one task. Three steps avoid it:
 
 The split changes where a row is settled, never how. Null texts count as empty;
 ties cannot occur as the row with the smallest id stays; repeated rows (same id and
-text) each get a row, all of them kept if their id is the kept one.
+text) each get a row in the groups, all of them marked if their id is the kept one, but
+:func:`drop_duplicates` leaves one row of each group, also of a group without ids.
 """
 
 from __future__ import annotations
@@ -93,9 +94,14 @@ def duplicate_groups(
     )
 
 
-def drop_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **params) -> DataFrame:
-    """The rows of ``docs`` that stay, with all their columns."""
-    kept = duplicate_groups(docs, id_col, text_col, **params).where("kept").select(
-        F.col("doc_id").alias(id_col)
-    )
-    return docs.join(kept.distinct(), id_col, "left_semi")
+def drop_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_heavy: int = MIN_HEAVY, max_heavy: int = MAX_HEAVY) -> DataFrame:
+    """One row of ``docs`` for each different text, with all its columns: one with the least id, and one without an id only if none has one."""
+    keyed = cut(digests(docs, id_col, text_col))
+    heavy = cut(heavy_digests(keyed, min_heavy, max_heavy))
+    own = F.unhex(F.sha2(normalised(text_of(text_col)).cast("binary"), 256))
+    rows = docs.select(F.struct(*docs.columns).alias("_own"), own.alias("_digest"), F.col(id_col).alias("_id"))
+    # Of a frequent text only rows with the kept id are shuffled, and of these one from each task.
+    rows = rows.join(F.broadcast(heavy.select(F.col("digest").alias("_digest"), "keep_id", F.lit(True).alias("_heavy"))), "_digest", "left")
+    rows = rows.where(F.col("_heavy").isNull() | F.col("_id").eqNullSafe(F.col("keep_id")))
+    first = F.struct(F.col("_id").isNull(), "_id", F.xxhash64("_own"))
+    return rows.groupBy("_digest").agg(F.min_by("_own", first).alias("_own")).select("_own.*")

@@ -77,17 +77,19 @@ def mix(
     weights=SOURCE_WEIGHTS,
     cap: int = MAX_REPEATS,
     buckets: int = BUCKETS,
+    row_col: str | None = None,
 ) -> DataFrame:
-    """(doc_id, source, size, source_size, target, copies, taken), one row per row of ``docs``.
+    """(doc_id, source, size, source_size, target, copies, taken), one row per row of ``docs``; and its column ``row_col``.
 
     ``quality`` is the sampling weight of a row; without it the weight comes from
     ``labels`` (doc_id, quality), and without either it is 1. A row is chosen for the
     last, partial epoch while the larger part of it fits into the budget.
     """
     size = word_count(text_of(text_col))
+    key = (row_col,) if row_col else ()
     sized = docs.select(
         F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), size.alias("size"),
-        (quality if quality is not None else F.lit(1.0)).alias("weight"),
+        (quality if quality is not None else F.lit(1.0)).alias("weight"), *key,
     )
     if quality is None and labels is not None:  # joined to sizes, so that no text is shuffled
         sized = with_quality(sized.drop("weight"), labels).withColumnRenamed("quality_weight", "weight")
@@ -96,7 +98,7 @@ def mix(
     # 1 - exp(-key) grows with the key and spreads keys of weight 1 evenly.
     sized = cut(
         sized.select(
-            "doc_id", "source", "size", "key",
+            "doc_id", "source", "size", "key", *key,
             F.least(F.floor((1 - F.exp(-F.col("key"))) * buckets), F.lit(buckets - 1)).cast("int").alias("bucket"),
         )
     )
@@ -136,7 +138,7 @@ def mix(
     copies = F.least(F.col("epochs") + F.col("chosen").cast("long"), F.lit(cap))
     return whole.unionByName(last).select(
         "doc_id", "source", "size", "source_size",
-        F.round("target", 6).alias("target"), copies.alias("copies"), (copies * F.col("size")).alias("taken"),
+        F.round("target", 6).alias("target"), copies.alias("copies"), (copies * F.col("size")).alias("taken"), *key,
     )
 
 
@@ -150,11 +152,11 @@ def with_quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", wei
     )
 
 
-def mixed_rows(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """The rows of ``docs`` as often as the mix takes them; ids must be unique."""
-    times = mixed.where("copies > 0").select(F.col("doc_id").alias("_taken"), F.col("copies").cast("int").alias("_copies"))
+def mixed_rows(docs: DataFrame, mixed: DataFrame, row_col: str = "doc_id") -> DataFrame:
+    """The rows of ``docs`` as often as the mix takes them; ``row_col``, given to :func:`mix` too, must be unique and not null."""
+    times = mixed.where("copies > 0").select(F.col(row_col).alias("_taken"), F.col("copies").cast("int").alias("_copies"))
     return (
-        docs.join(times, F.col(id_col) == F.col("_taken"))
+        docs.join(times, F.col(row_col) == F.col("_taken"))
         .withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
         .drop("_taken", "_copies", "_copy")
     )

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, partitions, sized, text_of
+from .common import cut, one_of_each_key, partitions, row_key, sized, text_of
 from .links import classes
 from .minhash import WORDS, shingle_sets
 
@@ -54,7 +54,8 @@ def set_key(hashes: np.ndarray) -> bytes:
 
 
 def described(docs: DataFrame, words: int = WORDS) -> DataFrame:
-    """(doc, n, key): the number of shingles of each row and a digest of the set."""
+    """(doc, n, key): the number of shingles of each row and a digest of the set; and the string column row if ``docs`` has it."""
+    more = docs.columns[2:]
 
     def run(batches):
         for b in batches:
@@ -62,9 +63,9 @@ def described(docs: DataFrame, words: int = WORDS) -> DataFrame:
             for own in shingle_sets(b.column(1).to_pylist(), words):
                 sizes.append(len(own))
                 keys.append(set_key(own))
-            yield pa.record_batch([b.column(0), pa.array(sizes, pa.int64()), pa.array(keys, pa.binary())], names=["doc", "n", "key"])
+            yield pa.record_batch([b.column(0), pa.array(sizes, pa.int64()), pa.array(keys, pa.binary()), *b.columns[2:]], names=["doc", "n", "key", *more])
 
-    return docs.mapInArrow(run, "doc long, n long, key binary")
+    return docs.mapInArrow(run, ", ".join(["doc long, n long, key binary", *(f"{c} string" for c in more)]))
 
 
 #: What the tasks of the prefix count send each other: for a bucket of hashes, hashes and documents; for a bucket
@@ -213,26 +214,53 @@ def rare_first_lists(sets: DataFrame, percent: int = PERCENT) -> DataFrame:
     return found.where(room > 0).select("doc", F.explode(F.slice(F.col("own"), F.lit(1), room.cast("int"))).alias("t")).select(F.col("t.h").alias("key"), "doc")
 
 
-def join_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, percent: int = PERCENT) -> DataFrame:
-    """(doc_id, n_shingles, component_id), one row per row of ``docs``."""
-    texts = docs.select(F.col(id_col).cast("long").alias("doc"), text_of(text_col).alias("text"))
+def labelled(texts: DataFrame, every: DataFrame, words: int = WORDS) -> DataFrame:
+    """(doc, text) with a label of each set for doc: the id, or a hash of id and text where there is no id, a negative one, or one of several sets."""
+    odd = every.groupBy("doc").agg((F.min("key") != F.max("key")).alias("several")).where("doc is null or doc < 0 or several").select(F.col("doc").alias("odd"))
+    odd = cut(odd)
+    if odd.isEmpty():
+        return texts.select("doc", "text")
+    mark = odd.withColumn("marked", F.lit(True))
+    marked = texts.select("doc", "text").join(sized(mark, BROADCAST_IDS), F.col("doc").eqNullSafe(F.col("odd")), "left")
+    seed = 0
+    while True:
+        label = F.when(F.col("marked"), F.shiftrightunsigned(F.xxhash64(F.lit(seed), "doc", "text"), 1)).otherwise(F.col("doc"))
+        own = marked.select(label.alias("doc"), "text")
+        if described(own, words).groupBy("doc").agg((F.min("key") != F.max("key")).alias("several")).where("several").isEmpty():
+            return own
+        seed += 1
+
+
+def row_classes(texts: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
+    """(doc, n, key, root, component) and row if given, for each row of (doc, text) or (doc, text, row): root tells classes apart, component is the least id of the class."""
     every = cut(described(texts, words))
+    texts = labelled(texts, every, words)
     alive = cut(candidates(texts, words, percent))
     sets = cut(whole_sets(texts.join(sized(alive.select("doc"), BROADCAST_IDS), "doc", "left_semi"), words).dropDuplicates(["doc"]))
     lists = cut(rare_first_lists(sets, percent))
     linked = classes(lists, sets, percent)
-    # Classes of sets: every row with the set of a linked document belongs to its class.
-    of_key = alive.join(linked, "doc").select("key", F.col("class").alias("root"))
+    # Classes of sets: every row with the set of a linked document belongs to its class, which the least of its sets names.
+    of_class = cut(alive.join(linked, "doc").select("key", "class"))
+    named = of_class.groupBy("class").agg(F.min("key").alias("root"))
+    of_key = of_class.join(named, "class").select("key", "root")
     least = every.where("n > 0").groupBy("key").agg(F.min("doc").alias("own"))
-    of_key = least.join(of_key, "key", "left").withColumn("root", F.coalesce("root", "own"))
-    roots = of_key.groupBy("root").agg(F.min("own").alias("component_id"))
-    named = of_key.join(roots, "root").select("key", "component_id")
-    return every.join(named, "key", "left").select(
-        F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc")).alias("component_id")
+    of_key = least.join(of_key, "key", "left").withColumn("root", F.coalesce("root", "key"))
+    roots = of_key.groupBy("root").agg(F.min("own").alias("component"))
+    return every.join(of_key.join(roots, "root").select("key", "root", "component"), "key", "left")
+
+
+def join_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, percent: int = PERCENT) -> DataFrame:
+    """(doc_id, n_shingles, component_id), one row per row of ``docs``."""
+    rows = row_classes(docs.select(F.col(id_col).cast("long").alias("doc"), text_of(text_col).alias("text")), words, percent)
+    return rows.select(
+        F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component")).otherwise(F.col("doc")).alias("component_id")
     )
 
 
 def one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **params) -> DataFrame:
-    """The rows of ``docs`` that stay: of each class the row with the least id."""
-    kept = join_classes(docs, id_col, text_col, **params).where("doc_id = component_id").select(F.col("doc_id").alias(id_col)).distinct()
-    return docs.join(kept, id_col, "left_semi")
+    """The rows of ``docs`` that stay: of each class one row with the least id, and one without an id only if none has one; of rows without shingles one of each id and text."""
+    keyed = docs.withColumn("_row", row_key(F.col(id_col), F.col(text_col)))
+    rows = cut(row_classes(keyed.select(F.col(id_col).cast("long").alias("doc"), text_of(text_col).alias("text"), F.col("_row").alias("row")), **params))
+    kept = rows.where("n > 0").groupBy("root").agg(F.min(F.struct(F.col("doc").isNull().alias("no_id"), "doc", "row")).alias("first")).select("first.row")
+    kept = kept.unionByName(rows.where("n = 0").select("row").distinct())
+    return one_of_each_key(keyed.join(kept.withColumnRenamed("row", "_row"), "_row", "left_semi"), "_row").select(*docs.columns)

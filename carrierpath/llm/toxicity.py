@@ -187,8 +187,8 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS) -> Mod
     return Model(rows, [r["token"] for r in spared.select("token").collect()] if rows else [])
 
 
-def passages(docs: DataFrame, model: Model) -> DataFrame:
-    """(doc_id, n_tokens, segments): all maximal scoring segments of each whole text with their character ranges."""
+def passages(docs: DataFrame, model: Model, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, n_tokens, segments): all maximal scoring segments of each whole text with their character ranges; and the string columns ``carry``."""
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
@@ -211,10 +211,11 @@ def passages(docs: DataFrame, model: Model) -> DataFrame:
                 place = [m.span() for m in _WORD.finditer(text.lower())]
                 found.append([{"begin": place[x][0], "end": place[y][1], "score": s} for x, y, s in made])
             kind = pa.list_(pa.struct([("begin", pa.int32()), ("end", pa.int32()), ("score", pa.float64())]))
-            yield pa.record_batch([b.column(0), pa.array(counts, pa.int64()), pa.array(found, kind)], names=["doc_id", "n_tokens", "segments"])
+            yield pa.record_batch([b.column(0), pa.array(counts, pa.int64()), pa.array(found, kind), *b.columns[2:]], names=["doc_id", "n_tokens", "segments", *carry])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n_tokens long, segments array<struct<begin:int,end:int,score:double>>")
+    schema = f"doc_id {kind}, n_tokens long, segments array<struct<begin:int,end:int,score:double>>"
+    return docs.select("doc_id", "text", *carry).mapInArrow(run, ", ".join([schema, *(f"{c} string" for c in carry)]))
 
 
 def _logistic(bins: list[tuple[float, int, int]]) -> tuple[float, float]:
@@ -236,15 +237,15 @@ def _logistic(bins: list[tuple[float, int, int]]) -> tuple[float, float]:
     return a, b
 
 
-def score_documents(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", train_rows: int = TRAIN_ROWS) -> DataFrame:
-    """(doc_id, held_out, score, predicted, n_passages, passages), one row per row of ``docs``.
+def score_documents(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", train_rows: int = TRAIN_ROWS, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, held_out, score, predicted, n_passages, passages), one row per row of ``docs``; and its string columns ``carry``.
 
     ``passages`` lists the significant toxic passages with their character ranges in
     the lower-cased text.
     """
-    own = docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text"))
+    own = docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text"), *carry)
     model = fit(own, labels, train_rows)
-    raw = cut(passages(own, model))
+    raw = cut(passages(own, model, carry))
     best = F.coalesce(F.array_max(F.col("segments.score")), F.lit(0.0))
     train = training_labels(labels, train_rows)
     seen = raw.join(F.broadcast(train), "doc_id")  # at most train_rows rows
@@ -270,5 +271,5 @@ def score_documents(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id",
     return judged.withColumn("score", score).select(
         "doc_id", held_out(F.col("doc_id")).alias("held_out"), "score",
         (F.col("score") >= THRESHOLD).cast("int").alias("predicted"),
-        F.size("passages").alias("n_passages"), "passages",
+        F.size("passages").alias("n_passages"), "passages", *carry,
     )

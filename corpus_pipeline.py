@@ -1,7 +1,9 @@
 """From raw documents to token ids: toxicity, exact copies, near copies, mixing, encoding.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written as Parquet and read
-again for the next one; all but the last return the columns of ``documents``.
+again for the next one; all but the last return the columns of ``documents``. Rows are told apart by
+id and text, so that those without an id are judged by their text; the second stage
+leaves one row of each text, the one without an id only if none has one.
 """
 
 from __future__ import annotations
@@ -10,9 +12,10 @@ import uuid
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from carrierpath.llm import byte_bpe, exact_dedup, mixing, ngram_join, toxicity
-from carrierpath.llm.common import shared_folder, table
+from carrierpath.llm.common import row_key, shared_folder, table
 from carrierpath.llm.queries import VOCABULARY
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
@@ -20,9 +23,10 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity operator predicts toxic go."""
-    scored = toxicity.score_documents(docs, table(spark, sf_dir, "labels"))
-    rejected = scored.where("predicted = 1").select("doc_id").distinct()
-    return docs.join(rejected, "doc_id", "left_anti").select(*COLUMNS)
+    docs = docs.withColumn("_row", row_key(F.col("doc_id"), F.col("text")))
+    scored = toxicity.score_documents(docs, table(spark, sf_dir, "labels"), carry=("_row",))
+    rejected = scored.where("predicted = 1").select("_row").distinct()
+    return docs.join(rejected, "_row", "left_anti").select(*COLUMNS)
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,7 +41,9 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them, so some rows are repeated and some go."""
-    return mixing.mixed_rows(docs, mixing.mix(docs, labels=table(spark, sf_dir, "labels"))).select(*COLUMNS)
+    docs = docs.withColumn("_row", row_key(F.col("doc_id"), F.concat_ws("|", F.col("source").isNull().cast("string"), "source", "text")))
+    mixed = mixing.mix(docs, labels=table(spark, sf_dir, "labels"), row_col="_row")
+    return mixing.mixed_rows(docs, mixed, "_row").select(*COLUMNS)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
