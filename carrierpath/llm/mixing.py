@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut, text_of, uniform, word_count
+from .common import cut, one_of_each_key, text_of, uniform, word_count
 
 #: Weights of the sources in code point order, repeating.
 SOURCE_WEIGHTS = (1.0, 2.0, 3.0)
@@ -153,10 +153,13 @@ def with_quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", wei
 
 
 def mixed_rows(docs: DataFrame, mixed: DataFrame, row_col: str = "doc_id") -> DataFrame:
-    """The rows of ``docs`` as often as the mix takes them; ``row_col``, given to :func:`mix` too, must be unique and not null."""
-    times = mixed.where("copies > 0").select(F.col(row_col).alias("_taken"), F.col("copies").cast("int").alias("_copies"))
+    """The rows of ``docs`` as often as the mix takes them.
+
+    ``row_col``, given to :func:`mix` too, tells rows apart and must not be null; rows that share it are alike and give the sum of their copies.
+    """
+    times = mixed.groupBy(F.col(row_col).alias("_taken")).agg(F.sum("copies").cast("int").alias("_copies")).where("_copies > 0")
     return (
-        docs.join(times, F.col(row_col) == F.col("_taken"))
+        one_of_each_key(docs, row_col).join(times, F.col(row_col) == F.col("_taken"))
         .withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
-        .drop("_taken", "_copies", "_copy")
+        .select(*docs.columns)
     )

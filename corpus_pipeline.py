@@ -41,7 +41,7 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them, so some rows are repeated and some go."""
-    docs = docs.withColumn("_row", row_key(F.col("doc_id"), F.concat_ws("|", F.col("source").isNull().cast("string"), "source", "text")))
+    docs = docs.withColumn("_row", row_key(F.col("source"), row_key(F.col("doc_id"), F.col("text"))))
     mixed = mixing.mix(docs, labels=table(spark, sf_dir, "labels"), row_col="_row")
     return mixing.mixed_rows(docs, mixed, "_row").select(*COLUMNS)
 

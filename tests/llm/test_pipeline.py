@@ -1,8 +1,11 @@
 import random
 from collections import Counter
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline
 from carrierpath.llm import exact_dedup, mixing, ngram_join, toxicity
+from carrierpath.llm.common import row_key
 
 from .conftest import DOCS
 
@@ -50,3 +53,19 @@ def test_rows_without_id_are_judged_by_their_text(spark, tmp_path):
     assert counted(got) == one | {(None, bad): 1, (None, near.first()["text"]): 1}
     mixed = corpus_pipeline.mix_sources(spark, some.dropDuplicates(), str(tmp_path)).collect()
     assert {r["doc_id"] for r in mixed} == {None} and len(mixed) >= 3
+
+
+def test_repeated_rows(spark, tmp_path):
+    row, other = (1, "x y z u v w", "en", "a", 0), (2, "p q r s t u v", "en", "b", 0)
+    near = "one two three four five six seven eight nine ten " * 3
+    docs = spark.createDataFrame([row] * 40 + [other] + [(3, near, "en", "a", 0), (3, "quite another text under one id", "en", "b", 0), (4, "p q  r s t u v", "en", "b", 0), (5, near + "eleven", "en", "a", 0)], DOCS).repartition(4)
+    for heavy in (2, 64):
+        got = exact_dedup.drop_duplicates(docs, min_heavy=heavy).collect()
+        assert counted(got) == {row[:2]: 1, other[:2]: 1, (3, near): 1, (3, "quite another text under one id"): 1, (5, near + "eleven"): 1}
+    assert counted(ngram_join.one_of_each(docs).collect()) == {row[:2]: 1, other[:2]: 1, (3, near): 1, (3, "quite another text under one id"): 1}
+    assert {r["component_id"] for r in ngram_join.join_classes(docs).where("doc_id = 5").collect()} == {3}
+    corpus(spark, tmp_path, 5)
+    docs = docs.withColumn("_row", row_key(F.col("doc_id"), F.col("text")))
+    mixed = mixing.mix(docs, row_col="_row")
+    want = {(r["doc_id"], r["text"]): r["n"] for r in mixed.groupBy("_row").agg(F.sum("copies").alias("n")).join(docs.dropDuplicates(["_row"]), "_row").where("n > 0").collect()}
+    assert counted(mixing.mixed_rows(docs, mixed, "_row").collect()) == want and sum(want.values()) <= 3 * docs.count()
