@@ -75,8 +75,43 @@ KNOWN = (
     ("CC0-1.0", "Licensed under CC0 1.0."),
 )
 
-#: A line that only names who holds a copyright.
-COPYRIGHT_LINE = r"(?m)^[^\p{L}\p{N}\n]*(?:copyright\b[^\p{L}\p{N}\n]*(?:\(c\)|©|\d{4})|\(c\)\s*(?:copyright\b|\d{4})|©)[^\n]*$|^[^\p{L}\p{N}\n]*all rights reserved\.?[^\p{L}\p{N}\n]*$"
+#: Digests of canonical whole texts of longer licences; where a text ends before its appendix, or before the words that end its terms, one of each.
+KNOWN_DIGESTS = (
+    ("Apache-2.0", "e87dea5078ce2faaea46d3475af18d30a5c0ac0f09425b60b3e0c6569f72f8d2"),
+    ("Apache-2.0", "f45538b138cf9aea39fa205de037a0bede8305e68281650e7ab809a8b3ebb2f0"),
+    ("Apache-2.0", "37599287c15c2f2ec060c3c3b55bdf69e3bc7a8aeeb9cd57e18800088789538a"),
+    ("Artistic-1.0-Perl", "64e91f5cc481723b420f8e1ecf131ec7eba02da96cf0a78bb4b764fb30984f7a"),
+    ("CC0-1.0", "96bdc7f63190fb4bd1ae584b890300ed7517d858b34c945642a3b9b2f1612a5f"),
+    ("GFDL-1.2-only", "c98e40efc6862c9be30915c75f49d704d06c4295eeee2bf5d221d9a5191e6b8a"),
+    ("GFDL-1.3-only", "3238bf8a488349f6890209ed66942daa5c08256ad83b888cf417fbafcf0ceeaf"),
+    ("GPL-1.0-only", "563aa819aa634f9698b263e285a0ef92b5388d22a13d9d829e3fd461737efbed"),
+    ("GPL-1.0-only", "6c07dfb5e6ddc39fe93ae803d39b67367c21b50207b645111c04cd08cb283d70"),
+    ("GPL-1.0-only", "3c796b04cfbd58d45e505bbfd656f39ed02b0e66f4b7768a6c92eb29931304c8"),
+    ("GPL-2.0-only", "b48cdfd78fee492e1516a977f893a8b9b450447a909137054254b44ed775bcbf"),
+    ("GPL-2.0-only", "f79b9e516923cc213c21d12fd8a51b4067992b2728a442e31fd53d078dd25632"),
+    ("GPL-2.0-only", "b1a13b5262988058eb24fa2ecc2451ae813514d152b9361d66a115e43a210bf9"),
+    ("GPL-3.0-only", "ce9b25a32fc0f53f6d32e74db713431d7d3f8f6d29bb4612998ff065cd901b18"),
+    ("GPL-3.0-only", "2f5326aa8a00f9aaec5990337239231da07ca0fa219229d7bd0c79afd3cfbe60"),
+    ("GPL-3.0-only", "308355c3080aa33279eaa8f75a1f1e6758b7972f216f60053639c192668d2dc1"),
+    ("LGPL-2.0-only", "8e8ffd5752111302160e6ee7d7d229c3ff9fc6431363cfc44be8cfd0f64c24c6"),
+    ("LGPL-2.0-only", "7d5246cc24a9d78fffd01a07fbc2e71edd1e94ad8d403f3180a4cf5fef43d389"),
+    ("LGPL-2.0-only", "3ea7beb964a4396aa5ad75de90dd58ff01913b237f397517e8563b7acf07d87c"),
+    ("LGPL-2.1-only", "5ce6fa0934cb8db1e96d36322f81fd98d11cc658ec86c71b9519d9c723a13041"),
+    ("LGPL-2.1-only", "65484d3c9f900f96945bd4e6c5397aaa24f93bdc8f720eae06fbd377c62cfe97"),
+    ("LGPL-2.1-only", "9c2c2afdce244f7835e438f43966f864ce47d82ebd6316bbcb123927f3280e30"),
+    ("LGPL-3.0-only", "aae2b222477171fb64e298e7965e768a9a6f85320646b266c94399ac029d42be"),
+    ("MPL-1.1", "cbbde7eeab9b4d180dc00b34252f800e97fb1cddbab38ed8c0c73b956dc2cbf6"),
+    ("MPL-2.0", "f82071285728ca3ec7685ee9bc4acdae0b8267142a4d20b8f1805eabedb4a98a"),
+)
+
+# Words after "copyright" that go on with a sentence instead of naming a holder.
+_NO_HOLDER = r"notices?|statements?|disclaimers?|holders?|owners?|licen[cs]es?|licen[cs]ed|laws?|and|or|in|is|as|of|on|to|by|for|if|are|was|has|have|may|must|shall|will|can|not|that|which|with|under|rights?|protection|protected|treaty|treaties|information|permission|permissions|interest|interests|work|works|status|file|files|act|infringement|claims?|term|terms"
+#: A line that only names who holds a copyright: with a sign or a year anywhere in it, or with a name of up to eight words that ends a paragraph or is followed by another such line.
+COPYRIGHT_LINE = (
+    r"(?m)^[^\p{L}\p{N}\n]*(?:copyright\b[^\p{L}\p{N}\n]*(?:\(c\)|©|\d{4})|\(c\)\s*(?:copyright\b|\d{4})|©)[^\n]*$|^[^\p{L}\p{N}\n]*all rights reserved\.?[^\p{L}\p{N}\n]*$"
+    rf"|^[^\p{{L}}\p{{N}}\n]*copyright(?![-\w])[^\p{{L}}\p{{N}}\n]*(?!(?:{_NO_HOLDER})\b)\p{{L}}(?:[^\n]{{0,200}}\b(?:19|20)\d\d\b[^\n]{{0,200}}"
+    r"|[^\s]*(?:[ \t]+[^\s]+){0,7}[ \t]*(?=\n\s*\n|\s*\z|\n[^\p{L}\p{N}\n]*(?:copyright|all rights reserved)\b))$"
+)
 
 
 def canonical(text: Column) -> Column:
@@ -100,19 +135,31 @@ def digest(text: Column) -> Column:
     return F.sha2(canonical(text).cast("binary"), 256)
 
 
-def known_digests(spark: SparkSession, known=KNOWN) -> DataFrame:
-    rows = spark.createDataFrame(list(known), "license_id string, text string")
+def text_digests(rows: DataFrame) -> DataFrame:
+    """(digest, license_id) of known texts (license_id, text)."""
     own = rows.withColumn("plain", canonical(F.col("text"))).where("plain <> ''")
-    return own.groupBy(F.sha2(F.col("plain").cast("binary"), 256).alias("digest")).agg(F.min("license_id").alias("license_id"))
+    return own.select(F.sha2(F.col("plain").cast("binary"), 256).alias("digest"), "license_id")
+
+
+def known_digests(spark: SparkSession, known=KNOWN, digests=KNOWN_DIGESTS) -> DataFrame:
+    rows = text_digests(spark.createDataFrame(list(known), "license_id string, text string"))
+    whole = spark.createDataFrame(list(digests), "license_id string, digest string").select("digest", "license_id")
+    return rows.unionByName(whole).groupBy("digest").agg(F.min("license_id").alias("license_id"))
 
 
 def scan(docs: DataFrame, known: DataFrame | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, text_digest, license_id, line_licenses), one row per row of ``docs``.
 
     ``license_id`` is null unless the whole text is a known one; ``line_licenses``
-    lists the licences of single lines, in order and joined by commas.
+    lists the licences of single lines, in order and joined by commas. ``known`` is a
+    table (license_id, text), or (license_id, digest) of canonical texts.
     """
-    known = F.broadcast(known if known is not None else known_digests(docs.sparkSession))  # a table of known texts
+    if known is None:
+        known = known_digests(docs.sparkSession)
+    else:
+        own = known.select("digest", "license_id") if "digest" in known.columns else text_digests(known)
+        known = own.groupBy("digest").agg(F.min("license_id").alias("license_id"))
+    known = F.broadcast(known)  # a table of known texts
     # One row of known lines by digest: a map lookup keeps every document in its row.
     as_map = known.agg(F.map_from_entries(F.collect_list(F.struct("digest", "license_id"))).alias("by_digest"))
     own = docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")).withColumn("text_digest", digest(F.col("text")))
