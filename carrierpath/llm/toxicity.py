@@ -32,8 +32,8 @@ from pyspark.sql import functions as F
 
 from .common import cut, text_of
 
-#: Most labelled rows that the model is fitted on, and most tokens that it holds.
-TRAIN_ROWS, MODEL_TOKENS = 40_000, 20_000
+#: Most labelled rows that the model is fitted on; it holds all their entries that pass the tests.
+TRAIN_ROWS = 40_000
 #: Least standard errors, count and log-odds of a scoring entry; weight of the prior as a share of all counts.
 Z_LEAST, COUNT_LEAST, DELTA_LEAST, PRIOR_SHARE = 4.0, 3, 1.5, 0.05
 #: Lengths of word beginnings that are entries of their own.
@@ -178,13 +178,13 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS) -> Mod
     """Token model from docs (doc_id, text) and labels (doc_id, toxic)."""
     odds = log_odds(cut(token_counts(docs, training_labels(labels, train_rows))))
     best = odds.where((F.col("z") >= Z_LEAST) & (F.col("toxic") >= COUNT_LEAST) & (F.col("delta") >= DELTA_LEAST))
-    rows = best.orderBy(F.desc("z"), "token").limit(MODEL_TOKENS).select("token", "delta", "z", "p_other").collect()
+    rows = best.orderBy(F.desc("z"), "token").select("token", "delta", "z", "p_other").collect()
     # Words that other texts use, though their beginnings are those of toxic words.
     stems = F.array(*[F.concat(F.substring("token", 1, k), F.lit("*")) for k in STEMS])
-    known = F.array(*[F.lit(r["token"]) for r in rows if r["token"].endswith("*")]) if rows else F.array()
-    spared = odds.where(~F.col("token").endswith("*") & (F.col("other") >= COUNT_LEAST) & (F.col("delta") <= 0))
-    spared = spared.where(F.arrays_overlap(stems, known)).orderBy(F.desc("other"), "token").limit(MODEL_TOKENS)
-    return Model(rows, [r["token"] for r in spared.select("token").collect()] if rows else [])
+    spared = odds.where(~F.col("token").endswith("*") & (F.col("other") >= COUNT_LEAST) & (F.col("delta") <= 0)).select("token", F.explode(stems).alias("stem"))
+    known = best.where(F.col("token").endswith("*")).select(F.col("token").alias("stem"))
+    spared = spared.join(known, "stem", "left_semi").select("token").distinct()
+    return Model(rows, [r["token"] for r in spared.collect()] if rows else [])
 
 
 def passages(docs: DataFrame, model: Model, carry: tuple[str, ...] = ()) -> DataFrame:
