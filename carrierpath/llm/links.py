@@ -1,14 +1,17 @@
 """Classes of near duplicates from inverted lists: T-occurrence search, verified links, components.
 
 An inverted list is a set of rows (key, doc). Documents that can be linked share a key; which of
-them are is decided on their whole shingle sets. No list is expanded into all pairs:
+them are is decided on their whole shingle sets. No list is expanded into pairs:
 
-* in a few rounds every document is tried against one member of each of its lists, another one
-  each round, and what links is contracted;
-* after that only documents of different classes are paired, within lists that still
-  hold several classes; links inside a class could not change it.
+* every document is tried against the least and then the greatest member of each of its lists, and
+  what links is contracted. That is linear in the lists, and settles lists of up to three;
+* the lists that still hold several classes join their documents to families. A family is dealt into
+  blocks of bounded size, and a task takes two blocks (or one with itself), builds the
+  inverted lists of one, and searches them with the sets of the other. It returns only
+  links that join two classes it has not joined yet, fewer than it has documents.
 
-Every pair that shares a key thus ends up either tried or in one class.
+Every pair that shares a key thus ends up either tried or in one class. Rows grow with the
+documents of a family times its blocks.
 """
 
 from __future__ import annotations
@@ -24,8 +27,8 @@ from .common import cut, partitions, sized
 
 #: Candidates of one query that are searched at once, and that go to one task.
 BLOCK, PER_TASK = 512, 4096
-#: Rounds against single members before pairs of classes are tried.
-ROUNDS = 2
+#: Documents and shingles that a block of a family holds, about.
+CELL_DOCS, CELL_HASHES = 512, 1 << 20
 #: Most pairs (under 50 bytes each) that are broadcast to meet their sets, so that the sets are not shuffled.
 BROADCAST_PAIRS = 500_000
 
@@ -52,13 +55,14 @@ def divide_skip(lists: list[np.ndarray], least: int) -> tuple[np.ndarray, np.nda
         docs, counts = _heap_merge(short)
     else:  # the same merge as one sort, where a heap in Python would be slow
         docs, counts = np.unique(np.concatenate(short), return_counts=True)
-    enough = counts >= least - n_long
-    docs, counts = docs[enough], counts[enough]
-    for own in reversed(long):
+    for left, own in enumerate([*reversed(long), None]):
+        enough = counts >= least - n_long + left  # what the lists not probed yet can still add
+        docs, counts = docs[enough], counts[enough]
+        if own is None or not len(docs):
+            break
         place = np.searchsorted(own, docs)
         counts = counts + ((place < len(own)) & (own[np.minimum(place, len(own) - 1)] == docs))
-    enough = counts >= least
-    return docs[enough], counts[enough]
+    return docs, counts
 
 
 def _heap_merge(lists: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
@@ -168,47 +172,131 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
     return e.select(F.col("u").alias("doc"), F.col("v").alias("root")).unionByName(e.select(F.col("v").alias("doc"), F.col("v").alias("root")).distinct())
 
 
-def classes(lists: DataFrame, sets: DataFrame, percent: int = 80, rounds: int = ROUNDS) -> DataFrame:
+# Families -------------------------------------------------------------------------------
+
+
+class Inverted:
+    """Inverted lists of some sets of sorted hashes: places of sets, ascending, by hash."""
+
+    def __init__(self, sets: list[np.ndarray]):
+        self.sizes = np.array([len(x) for x in sets], dtype=np.int64)
+        every = np.concatenate(sets) if sets else np.zeros(0, dtype=np.int64)
+        owner = np.repeat(np.arange(len(sets)), self.sizes)
+        order = np.argsort(every, kind="stable")
+        self.owner = owner[order]
+        self.hashes, start = np.unique(every[order], return_index=True)
+        self.ends = np.append(start, len(every))
+
+    def partners(self, query: np.ndarray, percent: int) -> np.ndarray:
+        """Places of the sets whose Jaccard similarity to the query is at least percent/100."""
+        least = -(-percent * len(query) // 100)
+        if not len(query) or not len(self.hashes):
+            return np.zeros(0, dtype=np.int64)
+        at = np.searchsorted(self.hashes, query)
+        at = at[self.hashes[np.minimum(at, len(self.hashes) - 1)] == query]
+        if len(at) < least:
+            return np.zeros(0, dtype=np.int64)
+        docs, counts = divide_skip([self.owner[self.ends[k] : self.ends[k + 1]] for k in at.tolist()], max(1, least))
+        return docs[100 * counts >= percent * (len(query) + self.sizes[docs] - counts)]
+
+
+def spanning_links(queries: list[tuple], others: list[tuple] | None, percent: int) -> list[tuple[int, int]]:
+    """Links (x, y) between different classes that join all that can be joined between two blocks, or within one if ``others`` is None.
+
+    A block has (doc, class, hashes). No more links than classes come out: what they joined before is not returned.
+    """
+    second = queries if others is None else others
+    every = queries if others is None else [*queries, *others]
+    _, label = np.unique(np.array([c for _, c, _ in every], dtype=np.int64), return_inverse=True)
+    first = 0 if others is None else len(queries)
+    index = Inverted([h for _, _, h in second])
+    out = []
+    for i, (doc, _, hashes) in enumerate(queries):
+        theirs = label[first:]
+        if (theirs == label[i]).all():
+            continue
+        for j in index.partners(hashes, percent).tolist():
+            if theirs[j] != label[i]:
+                out.append((doc, second[j][0]))
+                label[label == theirs[j]] = label[i]
+    return out
+
+
+def family_links(left: DataFrame, sets: DataFrame, percent: int, docs: int = CELL_DOCS, hashes: int = CELL_HASHES) -> DataFrame:
+    """Links (x, y) between the classes of ``left`` (key, doc, class, first), lists that were cut with their least document, by blocks of families."""
+    spark = left.sparkSession
+    family = components(left.select(F.col("doc").alias("x"), F.col("first").alias("y")))
+    placed = left.select("doc", "class").distinct().join(family, "doc").join(sets.select("doc", F.size("hashes").alias("n")), "doc")
+    placed = cut(placed.select("doc", "class", F.col("root").alias("family"), "n"))
+    of = placed.groupBy("family").agg(F.greatest(F.ceil(F.count(F.lit(1)) / docs), F.ceil(F.sum("n") / hashes)).cast("int").alias("blocks"), (F.min("class") != F.max("class")).alias("mixed"))
+    of = cut(of.where("mixed").select("family", "blocks"))
+    dealt = placed.join(sized(of, BROADCAST_PAIRS), "family").withColumn("block", F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int"))
+    dealt = cut(dealt.select("doc", "class", "family", "block", "blocks"))
+    rows = sets.join(sized(dealt, BROADCAST_PAIRS), "doc").withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = rows.select("family", F.least("block", "j").alias("i"), F.greatest("block", "j").alias("j"), "block", "doc", "class", "hashes")
+
+    def run(batches):
+        at, sides = None, ({}, {})
+
+        def flush():
+            (i, j), (first, second) = at[1:], sides
+            one, two = list(first.values()), list(second.values())
+            found = spanning_links(one, None if i == j else two, percent)
+            first.clear()
+            second.clear()
+            return pa.record_batch([pa.array([x for x, _ in found], pa.int64()), pa.array([y for _, y in found], pa.int64())], names=["x", "y"])
+
+        for b in batches:
+            values, ends = b.column(6).flatten().to_numpy(), b.column(6).offsets.to_numpy() - b.column(6).offsets[0].as_py()
+            for k, (fam, i, j, block, doc, cls) in enumerate(zip(*(c.to_pylist() for c in b.columns[:6]), strict=True)):
+                if (fam, i, j) != at:
+                    if at:
+                        yield flush()
+                    at = (fam, i, j)
+                sides[int(block != i)][doc] = (doc, cls, values[ends[k] : ends[k + 1]].copy())
+        if at:
+            yield flush()
+
+    return rows.repartition(partitions(spark), "family", "i", "j").sortWithinPartitions("family", "i", "j", "doc").mapInArrow(run, "x long, y long")
+
+
+def classes(lists: DataFrame, sets: DataFrame, percent: int = 80, docs: int = CELL_DOCS, hashes: int = CELL_HASHES) -> DataFrame:
     """(doc, class): the least document reachable by links, for documents with any link.
 
-    ``lists`` has (key, doc), ``sets`` (doc, hashes) with sorted distinct hashes for all of them.
+    ``lists`` has (key, doc), ``sets`` (doc, hashes) with sorted distinct hashes for all of them; ``docs`` and ``hashes`` bound the blocks of a family.
     """
-    spark = lists.sparkSession
-    links = spark.createDataFrame([], "x long, y long")
-    tried = spark.createDataFrame([], "x long, y long")
-    label = spark.createDataFrame([], "doc long, root long")
-    none_yet = True
-    for turn in range(rounds + 1):
-        own = lists if none_yet else lists.join(label, "doc", "left")
-        own = own.withColumn("class", F.col("doc") if none_yet else F.coalesce("root", "doc")).select("key", "doc", "class")
-        if turn < rounds:
-            # The least id first, as what was copied mostly comes before its copies; then any other member.
-            first = F.col("doc") if turn == 0 else F.xxhash64(F.lit(turn), "doc")
-            hub = F.min(F.struct(first.alias("h"), "doc", "class")).alias("hub")
-            hubs = own.groupBy("key").agg(hub, F.min("class").alias("a"), F.max("class").alias("z")).where("a <> z").select("key", "hub")
-            pairs = own.join(hubs, "key").where("class <> hub.class").select(F.col("hub.doc").alias("x"), F.col("doc").alias("y"))
-        else:
-            mixed = own.groupBy("key").agg(F.min("class").alias("a"), F.max("class").alias("z")).where("a <> z").select("key")
-            left = cut(own.join(mixed, "key", "left_semi").join(sets.select("doc", F.size("hashes").alias("n")), "doc"))
-            keys = left.groupBy("doc").agg(F.collect_list("key").alias("keys"))  # as many as a document has lists
-            left = cut(left.join(keys, "doc"))
-            other = left.select("key", F.col("doc").alias("other"), F.col("class").alias("its_class"), F.col("n").alias("its_n"), F.col("keys").alias("its_keys"))
-            # A pair is made once, in the least of its common lists, and only if its sizes allow a link.
-            fits = (F.col("n") * 100 >= F.col("its_n") * percent) & (F.col("its_n") * 100 >= F.col("n") * percent)
-            once = F.array_min(F.array_intersect("keys", "its_keys")) == F.col("key")
-            pairs = left.join(other, "key").where((F.col("class") < F.col("its_class")) & fits & once).select(F.col("doc").alias("x"), F.col("other").alias("y"))
-        pairs = pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "x", "y").groupBy("a", "b").agg(F.min(F.struct("x", "y")).alias("p")).select("a", "b", "p.x", "p.y")
-        if not none_yet or turn:
-            pairs = pairs.join(tried.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), ["a", "b"], "left_anti")
-        pairs = cut(pairs.select("x", "y"))
+    links = label = None
+
+    def grouped() -> DataFrame:
+        """Lists that hold several classes, with their least and greatest member."""
+        own = lists.withColumn("class", F.col("doc"))
+        if label is not None:
+            own = lists.join(label, "doc", "left").select("key", "doc", F.coalesce("root", "doc").alias("class"))
+        of = own.groupBy("key").agg(
+            F.min(F.struct("doc", "class")).alias("first"), F.max(F.struct("doc", "class")).alias("last"),
+            F.count(F.lit(1)).alias("members"), F.min("class").alias("a"), F.max("class").alias("z"),
+        )
+        return own.join(of.where("a <> z").drop("a", "z"), "key")
+
+    for hub in ("first", "last"):
+        pairs = grouped().where(F.col("class") != F.col(f"{hub}.class"))
+        if hub == "last":  # the least was tried against all
+            pairs = pairs.where(F.col("doc") != F.col("first.doc"))
+        pairs = pairs.select(F.col(f"{hub}.doc").alias("x"), F.col("doc").alias("y"))
+        once = pairs.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.min(F.struct("x", "y")).alias("p"))
+        pairs = cut(once.select("p.x", "p.y"))
         if pairs.isEmpty():
-            if turn < rounds:
-                continue
-            break
+            continue
         found = cut(verified(pairs, sets, percent))
-        tried = pairs if turn == 0 else cut(tried.unionByName(pairs))
         if not found.isEmpty():
-            links = found if none_yet else cut(links.unionByName(found))
+            links = found if links is None else links.unionByName(found)
             label = cut(components(links))
-            none_yet = False
+    left = cut(grouped().where("members > 3").select("key", "doc", "class", F.col("first.doc").alias("first")))
+    if not left.isEmpty():
+        found = cut(family_links(left, sets, percent, docs, hashes))
+        if not found.isEmpty():
+            links = found if links is None else links.unionByName(found)
+            label = components(links)
+    if label is None:
+        return lists.sparkSession.createDataFrame([], "doc long, class long")
     return label.select("doc", F.col("root").alias("class"))

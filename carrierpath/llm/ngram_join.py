@@ -10,7 +10,8 @@ their sets have a Jaccard similarity of 0.8 or more. Every similar partner has a
    than l shared ones have no partner.
 2. Among the rest, shingles are ordered from rare to frequent, and only the first n - need(n) + 1 of
    each document become inverted lists: common passages stay out of them unless a document is little else.
-3. The lists are searched for partners (:mod:`links`): short lists are merged, long
+3. Documents of common lists meet in blocks, whose whole sets become inverted lists that are searched
+   for partners (:mod:`links`): short lists are merged, long
    ones probed by binary search, with the overlap that is required.
 
 Documents with equal sets are one document in steps 2 and 3. Null and empty texts have no

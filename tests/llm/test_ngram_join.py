@@ -2,6 +2,8 @@ import random
 import re
 
 import numpy as np
+from pyspark.sql import Window
+from pyspark.sql import functions as F
 
 from carrierpath.llm import links, minhash, ngram_join
 
@@ -54,6 +56,46 @@ def test_classes_match_brute_force(spark):
         assert got == brute(rows)
 
 
+def variants(seed, n=90):
+    """Copies of one text, some with a few edits and some with so many that most pairs of them are not similar, around the threshold."""
+    rng = random.Random(seed)
+    base = [f"w{i}" for i in range(120)]
+    out = []
+    for i in range(n):
+        t = list(base)
+        for _ in range(rng.choice([0, 1, 2, 2, 3, 3])):
+            t[rng.randrange(len(t))] = f"e{rng.randrange(6)}"
+        out.append((i, " ".join(t)))
+    return out
+
+
+def test_families_in_blocks_match_brute_force(spark):
+    for seed, docs, hashes in ((1, 7, 1 << 20), (2, 1000, 900), (3, 1000, 1 << 20)):
+        rows = variants(seed)
+        texts = spark.createDataFrame(rows, "doc long, text string").repartition(3)
+        sets = ngram_join.whole_sets(texts).checkpoint()
+        # All lists, and no rounds that leave little over: every document in one family.
+        lists = ngram_join.rare_first_lists(sets).checkpoint()
+        got = {r["doc"]: r["class"] for r in links.classes(lists, sets, docs=docs, hashes=hashes).collect()}
+        want = {i: c for i, (_, c) in brute(rows).items()}
+        assert {i: got.get(i, i) for i in want} == want
+        left = lists.withColumn("class", lists.doc).withColumn("first", F.min("doc").over(Window.partitionBy("key")))
+        found = links.family_links(left.checkpoint(), sets, 80, docs, hashes).collect()
+        root = {r["doc"]: r["root"] for r in links.components(spark.createDataFrame(found)).collect()}
+        assert {i: root.get(i, i) for i in want} == want and len(found) < len(rows) * 20
+
+
+def test_partners_match_brute_force():
+    rng = np.random.default_rng(3)
+    for _ in range(60):
+        base = np.unique(rng.integers(0, 400, rng.integers(1, 120)))
+        sets = [np.unique(np.concatenate([rng.choice(base, rng.integers(0, len(base) + 1), replace=False), rng.integers(0, 400, rng.integers(0, 8))])) for _ in range(25)]
+        index = links.Inverted(sets)
+        for q in sets:
+            want = [j for j, s in enumerate(sets) if len(q) and 100 * len(np.intersect1d(q, s)) >= 80 * len(np.union1d(q, s))]
+            assert sorted(index.partners(q, 80).tolist()) == want
+
+
 def test_one_of_each_and_edges(spark):
     rows = corpus(4, 40)
     docs = spark.createDataFrame(rows, "doc_id long, text string")
