@@ -29,7 +29,7 @@ from .common import text_of
 #: Characters of text that are encoded at once; a longer text makes a batch of its own.
 CHUNK_CHARS = 1 << 18
 #: Words that a process remembers.
-CACHED_WORDS = 1 << 19
+CACHED_WORDS = 1 << 17
 #: Where a text may be parted without changing any match.
 PARTING = re.compile(r" (?=\S)")
 

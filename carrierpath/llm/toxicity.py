@@ -29,6 +29,7 @@ from collections import Counter
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import cut, text_of
 
@@ -43,7 +44,7 @@ DRIFT = -0.1
 #: A segment expected less often than this by chance is significant.
 SIGNIFICANT = 0.05
 #: Words whose score a task remembers.
-REMEMBERED = 1 << 18
+REMEMBERED = 1 << 16
 #: Scores from here on are predicted toxic.
 THRESHOLD = 0.3
 
@@ -96,18 +97,18 @@ def entries(word: str) -> list[str]:
     return [word, *(word[:k] + "*" for k in STEMS if len(word) >= k)]
 
 
-def token_counts(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """(token, toxic, other): in how many different toxic and other labelled texts each entry stands.
+def training_texts(docs: DataFrame, labels: DataFrame, most: int = TRAIN_ROWS) -> DataFrame:
+    """(doc_id, text, toxic): the rows of docs (doc_id, text) with a training label, read once."""
+    return cut(docs.select("doc_id", text_of().alias("text")).join(F.broadcast(training_labels(labels, most)), "doc_id"))
+
+
+def token_counts(texts: DataFrame) -> DataFrame:
+    """(token, toxic, other): in how many different toxic and other texts of (text, toxic) each entry stands.
 
     Texts count, not places, and copies count once: a repeated line or a copied text
     says no more about its words than one.
     """
-    once = (
-        docs.join(F.broadcast(labels), "doc_id")
-        .groupBy(F.xxhash64("text").alias("h"), F.length("text").alias("n"))
-        .agg(F.min("doc_id").alias("doc_id"), F.max("toxic").alias("toxic"))
-    )
-    labels = cut(once.select("doc_id", "toxic"))  # at most as many rows as before
+    once = texts.groupBy(F.xxhash64("text").alias("h"), F.length("text").alias("n")).agg(F.min("text").alias("text"), F.max("toxic").alias("toxic"))
 
     def run(batches):
         words = (Counter(), Counter())
@@ -124,8 +125,7 @@ def token_counts(docs: DataFrame, labels: DataFrame) -> DataFrame:
             part = both[at : at + 50_000]
             yield pa.record_batch([pa.array(part, pa.string()), *(pa.array([c[t] for t in part], pa.int64()) for c in counts)], names=["token", "toxic", "other"])
 
-    rows = docs.join(F.broadcast(labels), "doc_id").select("text", (F.col("toxic") > 0).cast("int").alias("toxic"))
-    partial = rows.mapInArrow(run, "token string, toxic long, other long")
+    partial = once.select("text", (F.col("toxic") > 0).cast("int").alias("toxic")).mapInArrow(run, "token string, toxic long, other long")
     return partial.groupBy("token").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other"))
 
 
@@ -176,7 +176,12 @@ class Model:
 
 def fit(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS) -> Model:
     """Token model from docs (doc_id, text) and labels (doc_id, toxic)."""
-    odds = log_odds(cut(token_counts(docs, training_labels(labels, train_rows))))
+    return fit_texts(training_texts(docs, labels, train_rows))
+
+
+def fit_texts(texts: DataFrame) -> Model:
+    """Token model from labelled texts (text, toxic)."""
+    odds = log_odds(cut(token_counts(texts)))
     best = odds.where((F.col("z") >= Z_LEAST) & (F.col("toxic") >= COUNT_LEAST) & (F.col("delta") >= DELTA_LEAST))
     rows = best.orderBy(F.desc("z"), "token").select("token", "delta", "z", "p_other").collect()
     # Words that other texts use, though their beginnings are those of toxic words.
@@ -187,9 +192,14 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS) -> Mod
     return Model(rows, [r["token"] for r in spared.collect()] if rows else [])
 
 
-def passages(docs: DataFrame, model: Model, carry: tuple[str, ...] = ()) -> DataFrame:
-    """(doc_id, n_tokens, segments): all maximal scoring segments of each whole text with their character ranges; and the string columns ``carry``."""
+def passages(docs: DataFrame, model: Model, with_text: bool = False) -> DataFrame:
+    """(doc_id, n_tokens, segments): all maximal scoring segments of each whole text of docs (doc_id, text, ...) with their character ranges.
+
+    The columns after the first two pass through, and the text does if ``with_text``.
+    """
     sent = docs.sparkSession.sparkContext.broadcast(model)
+    first = 1 if with_text else 2
+    more = docs.columns[first:]
 
     def run(batches):
         drift, score = sent.value.drift, sent.value.score
@@ -197,6 +207,7 @@ def passages(docs: DataFrame, model: Model, carry: tuple[str, ...] = ()) -> Data
         for b in batches:
             counts, found = [], []
             for text in b.column(1).to_pylist():
+                text = text or ""
                 own = tokens(text)
                 counts.append(len(own))
                 words = set(own)
@@ -211,11 +222,12 @@ def passages(docs: DataFrame, model: Model, carry: tuple[str, ...] = ()) -> Data
                 place = [m.span() for m in _WORD.finditer(text.lower())]
                 found.append([{"begin": place[x][0], "end": place[y][1], "score": s} for x, y, s in made])
             kind = pa.list_(pa.struct([("begin", pa.int32()), ("end", pa.int32()), ("score", pa.float64())]))
-            yield pa.record_batch([b.column(0), pa.array(counts, pa.int64()), pa.array(found, kind), *b.columns[2:]], names=["doc_id", "n_tokens", "segments", *carry])
+            yield pa.record_batch([b.column(0), pa.array(counts, pa.int64()), pa.array(found, kind), *b.columns[first:]], names=["doc_id", "n_tokens", "segments", *more])
 
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    schema = f"doc_id {kind}, n_tokens long, segments array<struct<begin:int,end:int,score:double>>"
-    return docs.select("doc_id", "text", *carry).mapInArrow(run, ", ".join([schema, *(f"{c} string" for c in carry)]))
+    fields = docs.schema.fields
+    segment = T.StructType().add("begin", T.IntegerType()).add("end", T.IntegerType()).add("score", "double")
+    made = T.StructType().add("n_tokens", "long").add("segments", T.ArrayType(segment))
+    return docs.mapInArrow(run, T.StructType([fields[0], *made.fields, *fields[first:]]))
 
 
 def _logistic(bins: list[tuple[float, int, int]]) -> tuple[float, float]:
@@ -237,39 +249,33 @@ def _logistic(bins: list[tuple[float, int, int]]) -> tuple[float, float]:
     return a, b
 
 
-def score_documents(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", train_rows: int = TRAIN_ROWS, carry: tuple[str, ...] = ()) -> DataFrame:
-    """(doc_id, held_out, score, predicted, n_passages, passages), one row per row of ``docs``; and its string columns ``carry``.
+def score_documents(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", train_rows: int = TRAIN_ROWS, keep: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, held_out, score, predicted, n_passages, passages), one row per row of ``docs``; with a struct ``row`` of its columns ``keep`` if any.
 
     ``passages`` lists the significant toxic passages with their character ranges in
-    the lower-cased text.
+    the lower-cased text. The training rows are read once and fit everything; all rows then pass one map, without a shuffle.
     """
-    own = docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text"), *carry)
-    model = fit(own, labels, train_rows)
-    raw = cut(passages(own, model, carry))
+    own = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), *[F.col(c).alias(f"_{i}") for i, c in enumerate(keep) if c != text_col])
+    train = training_texts(own, labels, train_rows)
+    model = fit_texts(train)
+    seen = cut(passages(train.select("doc_id", "text", "toxic"), model))
     best = F.coalesce(F.array_max(F.col("segments.score")), F.lit(0.0))
-    train = training_labels(labels, train_rows)
-    seen = raw.join(F.broadcast(train), "doc_id")  # at most train_rows rows
     k = seen.where("toxic = 0").agg(
         (F.count(F.lit(1)) / F.sum(F.greatest(F.col("n_tokens"), F.lit(1)) * F.exp(-F.lit(model.decay) * best))).alias("k")
     ).first()["k"]
     k = min(1.0, k or 1.0)
     norm = lambda s: F.lit(model.decay) * s["score"] - F.log(F.lit(k) * F.greatest(F.col("n_tokens"), F.lit(1)))
     toxic = F.filter("segments", lambda s: norm(s) > -math.log(SIGNIFICANT))
-    evidence = F.log1p(F.aggregate(toxic, F.lit(0.0), lambda acc, s: acc + norm(s)))
-    judged = raw.withColumn("evidence", evidence).withColumn("passages", toxic)
-    bins = (
-        judged.join(F.broadcast(train), "doc_id")
-        .groupBy(F.round(F.least("evidence", F.lit(20.0)), 2).alias("x"))
-        .agg(F.sum((F.col("toxic") > 0).cast("long")).alias("pos"), F.count(F.lit(1)).alias("n"))
-        .collect()  # at most 2001 bins
-    )
+    evidence = F.least(F.log1p(F.aggregate(toxic, F.lit(0.0), lambda acc, s: acc + norm(s))), F.lit(20.0))
+    bins = seen.groupBy(F.round(evidence, 2).alias("x")).agg(F.sum((F.col("toxic") > 0).cast("long")).alias("pos"), F.count(F.lit(1)).alias("n")).collect()  # at most 2001 bins
     if bins:
         a, b = _logistic(sorted((r["x"], r["pos"], r["n"]) for r in bins))
-        score = 1 / (1 + F.exp(-(F.lit(a) + F.lit(max(b, 0.0)) * F.least("evidence", F.lit(20.0)))))
+        score = 1 / (1 + F.exp(-(F.lit(a) + F.lit(max(b, 0.0)) * evidence)))
     else:
         score = F.lit(0.0)
-    return judged.withColumn("score", score).select(
+    row = [F.struct(*[F.col("text" if c == text_col else f"_{i}").alias(c) for i, c in enumerate(keep)]).alias("row")] if keep else []
+    return passages(own, model, with_text=text_col in keep).withColumn("score", score).withColumn("passages", toxic).select(
         "doc_id", held_out(F.col("doc_id")).alias("held_out"), "score",
         (F.col("score") >= THRESHOLD).cast("int").alias("predicted"),
-        F.size("passages").alias("n_passages"), "passages", *carry,
+        F.size("passages").alias("n_passages"), "passages", *row,
     )
