@@ -23,10 +23,8 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity operator predicts toxic go."""
-    docs = docs.withColumn("_row", row_key(F.col("doc_id"), F.col("text")))
-    scored = toxicity.score_documents(docs, table(spark, sf_dir, "labels"), carry=("_row",))
-    rejected = scored.where("predicted = 1").select("_row").distinct()
-    return docs.join(rejected, "_row", "left_anti").select(*COLUMNS)
+    scored = toxicity.score_documents(docs, table(spark, sf_dir, "labels"), keep=COLUMNS)
+    return scored.where("predicted = 0").select("row.*")
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
