@@ -31,6 +31,8 @@ BLOCK, PER_TASK = 512, 4096
 CELL_DOCS, CELL_HASHES = 512, 1 << 20
 #: Most pairs (under 50 bytes each) that are broadcast to meet their sets, so that the sets are not shuffled.
 BROADCAST_PAIRS = 500_000
+#: Rows of links that a task takes, about.
+TASK_ROWS = 50_000
 
 
 # T-occurrence search ------------------------------------------------------------------
@@ -95,14 +97,14 @@ def search_block(query: np.ndarray, block: list[np.ndarray], percent: int) -> np
     return docs[100 * counts >= percent * union]
 
 
-def verified(pairs: DataFrame, sets: DataFrame, percent: int = 80) -> DataFrame:
-    """The pairs (x, y), a table that was cut, whose sets (doc, hashes) are similar enough; x is the query, its ys the searched block."""
+def verified(pairs: DataFrame, sets: DataFrame, rows: int, percent: int = 80) -> DataFrame:
+    """The pairs (x, y), a table of so many rows that was cut, whose sets (doc, hashes) are similar enough; x is the query, its ys the searched block."""
     counted = pairs.groupBy("x").agg(F.count(F.lit(1)).alias("n")).select("x", F.ceil(F.col("n") / PER_TASK).cast("int").alias("parts"))
-    counted = cut(counted)
+    counted = cut(few(counted, rows))
     queries = sets.select(F.col("doc").alias("x"), "hashes").join(sized(counted, BROADCAST_PAIRS), "x").select(
         "x", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(-1).cast("long").alias("y"), F.lit(0).alias("kind"), "hashes"
     )
-    placed = cut(pairs.join(counted, "x").select("x", F.pmod(F.xxhash64("y"), F.col("parts")).cast("int").alias("part"), "y"))
+    placed = cut(few(pairs.join(sized(counted, BROADCAST_PAIRS), "x").select("x", F.pmod(F.xxhash64("y"), F.col("parts")).cast("int").alias("part"), "y"), rows))
     blocks = sets.select(F.col("doc").alias("y"), "hashes").join(sized(placed, BROADCAST_PAIRS), "y").select("x", "part", "y", F.lit(1).alias("kind"), "hashes")
 
     def run(batches):
@@ -141,6 +143,11 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int = 80) -> DataFrame:
 # Components ---------------------------------------------------------------------------
 
 
+def few(df: DataFrame, rows: int) -> DataFrame:
+    """``df`` in as many tasks as about so many rows need, at most all."""
+    return df.coalesce(max(1, min(partitions(df.sparkSession), -(-rows // TASK_ROWS))))
+
+
 def _fingerprint(edges: DataFrame) -> tuple:
     row = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
     return row[0], row[1]
@@ -155,14 +162,16 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
     e = cut(edges.select(F.greatest("x", "y").alias("u"), F.least("x", "y").alias("v")).where("u <> v").distinct())
     seen = _fingerprint(e)
     for _ in range(most):
-        if not seen[0]:
+        n = 2 * seen[0]
+        if not n:
             break
+        e = few(e, n)
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
+        large = few(both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v"), n)
         low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").unionByName(low.select("u", F.col("m").alias("v"))).distinct()
-        e = cut(small)
+        small = few(large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").unionByName(low.select("u", F.col("m").alias("v"))), n)
+        e = cut(few(small.distinct(), n))
         now = _fingerprint(e)
         if now == seen:
             break
@@ -172,6 +181,16 @@ def components(edges: DataFrame, most: int = 60) -> DataFrame:
     return e.select(F.col("u").alias("doc"), F.col("v").alias("root")).unionByName(e.select(F.col("v").alias("doc"), F.col("v").alias("root")).distinct())
 
 
+def hung(edges: DataFrame, rows: int) -> DataFrame:
+    """(doc, root): a smaller document that ``doc`` is connected with by links (x, y) of hubs x, not always the least; a few steps of :func:`components`."""
+    star = edges.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m"))
+    named = edges.join(star, "x").select(F.col("y").alias("doc"), "m").unionByName(star.select(F.col("x").alias("doc"), "m"))
+    own = cut(few(named.groupBy("doc").agg(F.min("m").alias("root")).where("root < doc"), rows))
+    # The root may hang on another one.
+    above = own.select(F.col("doc").alias("root"), F.col("root").alias("top"))
+    return cut(few(own.join(sized(above, BROADCAST_PAIRS), "root", "left").select("doc", F.coalesce("top", "root").alias("root")), rows))
+
+
 # Families -------------------------------------------------------------------------------
 
 
@@ -222,18 +241,18 @@ def spanning_links(queries: list[tuple], others: list[tuple] | None, percent: in
     return out
 
 
-def family_links(left: DataFrame, sets: DataFrame, percent: int, docs: int = CELL_DOCS, hashes: int = CELL_HASHES) -> DataFrame:
-    """Links (x, y) between the classes of ``left`` (key, doc, class, first), lists that were cut with their least document, by blocks of families."""
+def family_links(left: DataFrame, sets: DataFrame, rows: int, percent: int, docs: int = CELL_DOCS, hashes: int = CELL_HASHES) -> DataFrame:
+    """Links (x, y) between the classes of ``left`` (key, doc, class, first), so many rows of lists that were cut, with their least document, by blocks of families."""
     spark = left.sparkSession
-    family = components(left.select(F.col("doc").alias("x"), F.col("first").alias("y")))
-    placed = left.select("doc", "class").distinct().join(family, "doc").join(sets.select("doc", F.size("hashes").alias("n")), "doc")
-    placed = cut(placed.select("doc", "class", F.col("root").alias("family"), "n"))
+    family = components(few(left, rows).select(F.col("doc").alias("x"), F.col("first").alias("y")))
+    placed = few(left, rows).select("doc", "class").distinct().join(family, "doc").join(sets.select("doc", F.size("hashes").alias("n")), "doc")
+    placed = cut(few(placed.select("doc", "class", F.col("root").alias("family"), "n"), rows))
     of = placed.groupBy("family").agg(F.greatest(F.ceil(F.count(F.lit(1)) / docs), F.ceil(F.sum("n") / hashes)).cast("int").alias("blocks"), (F.min("class") != F.max("class")).alias("mixed"))
-    of = cut(of.where("mixed").select("family", "blocks"))
+    of = cut(few(of.where("mixed").select("family", "blocks"), rows))
     dealt = placed.join(sized(of, BROADCAST_PAIRS), "family").withColumn("block", F.pmod(F.xxhash64("doc"), F.col("blocks")).cast("int"))
     dealt = cut(dealt.select("doc", "class", "family", "block", "blocks"))
-    rows = sets.join(sized(dealt, BROADCAST_PAIRS), "doc").withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select("family", F.least("block", "j").alias("i"), F.greatest("block", "j").alias("j"), "block", "doc", "class", "hashes")
+    cells = sets.join(sized(dealt, BROADCAST_PAIRS), "doc").withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    cells = cells.select("family", F.least("block", "j").alias("i"), F.greatest("block", "j").alias("j"), "block", "doc", "class", "hashes")
 
     def run(batches):
         at, sides = None, ({}, {})
@@ -257,7 +276,7 @@ def family_links(left: DataFrame, sets: DataFrame, percent: int, docs: int = CEL
         if at:
             yield flush()
 
-    return rows.repartition(partitions(spark), "family", "i", "j").sortWithinPartitions("family", "i", "j", "doc").mapInArrow(run, "x long, y long")
+    return cells.repartition(partitions(spark), "family", "i", "j").sortWithinPartitions("family", "i", "j", "doc").mapInArrow(run, "x long, y long")
 
 
 def classes(lists: DataFrame, sets: DataFrame, percent: int = 80, docs: int = CELL_DOCS, hashes: int = CELL_HASHES) -> DataFrame:
@@ -265,13 +284,18 @@ def classes(lists: DataFrame, sets: DataFrame, percent: int = 80, docs: int = CE
 
     ``lists`` has (key, doc), ``sets`` (doc, hashes) with sorted distinct hashes for all of them; ``docs`` and ``hashes`` bound the blocks of a family.
     """
-    links = label = None
+    links, hangs = None, []
+
+    def of_class(df: DataFrame, doc: str) -> DataFrame:
+        """``df`` with the column ``doc`` replaced by what it is known to be connected with."""
+        for own, n in hangs:
+            own = own.select(F.col("doc").alias(doc), F.col("root").alias("_root"))
+            df = df.join(F.broadcast(own) if n <= BROADCAST_PAIRS else own, doc, "left").withColumn(doc, F.coalesce("_root", doc)).drop("_root")
+        return df
 
     def grouped() -> DataFrame:
         """Lists that hold several classes, with their least and greatest member."""
-        own = lists.withColumn("class", F.col("doc"))
-        if label is not None:
-            own = lists.join(label, "doc", "left").select("key", "doc", F.coalesce("root", "doc").alias("class"))
+        own = of_class(lists.withColumn("class", F.col("doc")), "class")
         of = own.groupBy("key").agg(
             F.min(F.struct("doc", "class")).alias("first"), F.max(F.struct("doc", "class")).alias("last"),
             F.count(F.lit(1)).alias("members"), F.min("class").alias("a"), F.max("class").alias("z"),
@@ -285,18 +309,22 @@ def classes(lists: DataFrame, sets: DataFrame, percent: int = 80, docs: int = CE
         pairs = pairs.select(F.col(f"{hub}.doc").alias("x"), F.col("doc").alias("y"))
         once = pairs.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.min(F.struct("x", "y")).alias("p"))
         pairs = cut(once.select("p.x", "p.y"))
-        if pairs.isEmpty():
+        rows = pairs.count()
+        if not rows:
             continue
-        found = cut(verified(pairs, sets, percent))
-        if not found.isEmpty():
+        found = cut(verified(few(pairs, rows), sets, rows, percent))
+        n = found.count()
+        if n:
+            found = few(found, n)
             links = found if links is None else links.unionByName(found)
-            label = cut(components(links))
+            edges = of_class(of_class(found, "x"), "y").where("x <> y")
+            hangs.append((hung(cut(few(edges, n)), n), 2 * n))
     left = cut(grouped().where("members > 3").select("key", "doc", "class", F.col("first.doc").alias("first")))
-    if not left.isEmpty():
-        found = cut(family_links(left, sets, percent, docs, hashes))
+    rows = left.count()
+    if rows:
+        found = cut(family_links(left, sets, rows, percent, docs, hashes))
         if not found.isEmpty():
             links = found if links is None else links.unionByName(found)
-            label = components(links)
-    if label is None:
+    if links is None:
         return lists.sparkSession.createDataFrame([], "doc long, class long")
-    return label.select("doc", F.col("root").alias("class"))
+    return components(links).select("doc", F.col("root").alias("class"))

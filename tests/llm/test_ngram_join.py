@@ -80,7 +80,7 @@ def test_families_in_blocks_match_brute_force(spark):
         want = {i: c for i, (_, c) in brute(rows).items()}
         assert {i: got.get(i, i) for i in want} == want
         left = lists.withColumn("class", lists.doc).withColumn("first", F.min("doc").over(Window.partitionBy("key")))
-        found = links.family_links(left.checkpoint(), sets, 80, docs, hashes).collect()
+        found = links.family_links(left.checkpoint(), sets, left.count(), 80, docs, hashes).collect()
         root = {r["doc"]: r["root"] for r in links.components(spark.createDataFrame(found)).collect()}
         assert {i: root.get(i, i) for i in want} == want and len(found) < len(rows) * 20
 
