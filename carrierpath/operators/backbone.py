@@ -1,6 +1,7 @@
 """Graph views of one region: backbone segments, bubbles, annotations, side nodes.
 
-Segments are numbered by the distinct cuts of a contig in order. The variant catalogue is small beside
+Segments are numbered by the distinct cuts of a contig in order, and on from contig to contig in the order of
+their names, so that a number names one segment of the whole graph. The variant catalogue is small beside
 the incidence: one window per contig orders it.
 """
 
@@ -23,11 +24,20 @@ def cuts(alleles: DataFrame, lo: int, hi: int, mode: str = "sv", tile: int = 100
     return ends.where((F.col("cut") > lo) & (F.col("cut") < hi)).distinct()
 
 
+def _in_all(own: DataFrame, col: str) -> DataFrame:
+    """``own`` with its numbers ``col``, from 0 in each contig, counted on from contig to contig."""
+    sizes = own.groupBy("contig").agg((F.max(col) + 1).alias("_n"))  # a row per contig
+    offset = F.coalesce(F.sum("_n").over(Window.orderBy("contig").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    offsets = sizes.select(F.col("contig").alias("_contig"), offset.alias("_before"))
+    return own.join(offsets, F.col("contig").eqNullSafe(F.col("_contig"))).withColumn(col, (F.col(col) + F.col("_before")).cast("long")).drop("_contig", "_before")
+
+
 def segments(alleles: DataFrame, lo: int, hi: int, mode: str = "sv", tile: int = 1000) -> DataFrame:
-    """(contig, seg_no, start, end), half-open, in order from 0."""
+    """(contig, seg_no, start, end), half-open, in order from 0; the next contig goes on."""
     bounds = cuts(alleles, lo, hi, mode, tile).unionByName(alleles.select("contig").distinct().withColumn("cut", F.lit(lo).cast("long")))
     w = Window.partitionBy("contig").orderBy("cut")
-    return bounds.select("contig", (F.row_number().over(w) - 1).alias("seg_no"), F.col("cut").alias("start"), F.coalesce(F.lead("cut").over(w), F.lit(hi).cast("long")).alias("end"))
+    own = bounds.select("contig", (F.row_number().over(w) - 1).alias("seg_no"), F.col("cut").alias("start"), F.coalesce(F.lead("cut").over(w), F.lit(hi).cast("long")).alias("end"))
+    return _in_all(own, "seg_no").select("contig", "seg_no", "start", "end")
 
 
 def compact(segs: DataFrame, keep: DataFrame) -> DataFrame:
@@ -35,7 +45,8 @@ def compact(segs: DataFrame, keep: DataFrame) -> DataFrame:
     kept = segs.join(keep.select("contig", F.col("cut").alias("start"), F.lit(1).alias("_keep")), ["contig", "start"], "left")
     w = Window.partitionBy("contig").orderBy("start")
     island = F.sum(F.coalesce("_keep", F.lit(0))).over(w.rowsBetween(Window.unboundedPreceding, 0))
-    return kept.withColumn("seg_no", island.cast("int")).groupBy("contig", "seg_no").agg(F.min("start").alias("start"), F.max("end").alias("end"))
+    own = kept.withColumn("seg_no", island.cast("int")).groupBy("contig", "seg_no").agg(F.min("start").alias("start"), F.max("end").alias("end"))
+    return _in_all(own, "seg_no").select("contig", "seg_no", "start", "end")
 
 
 def bubbles(segs: DataFrame, alleles: DataFrame) -> DataFrame:
@@ -44,8 +55,9 @@ def bubbles(segs: DataFrame, alleles: DataFrame) -> DataFrame:
     sv = alleles.where("class = 'SV'").withColumn("stop", F.col("pos") + F.col("ref_len"))
     ends = segs.select("contig", F.col("end").alias("pos"), F.col("seg_no").alias("before_seg"))
     starts = segs.select("contig", F.col("start").alias("stop"), F.col("seg_no").alias("after_seg"))
-    out = sv.join(ends, ["contig", "pos"], "left").join(starts, ["contig", "stop"], "left")
-    return out.select("contig", "allele_id", "before_seg", F.when(F.col("ref_len") > 0, F.coalesce(F.col("before_seg") + 1, F.lit(0))).alias("first_seg"), "after_seg")
+    heads = segs.groupBy("contig").agg(F.min("seg_no").alias("_head"))
+    out = sv.join(ends, ["contig", "pos"], "left").join(starts, ["contig", "stop"], "left").join(heads, "contig", "left")
+    return out.select("contig", "allele_id", "before_seg", F.when(F.col("ref_len") > 0, F.coalesce(F.col("before_seg") + 1, F.col("_head"))).alias("first_seg"), "after_seg")
 
 
 def annotate(segs: DataFrame, snv: DataFrame, width: int = 100_000) -> DataFrame:

@@ -75,12 +75,13 @@ def combine(inc: DataFrame, alleles: list, how: str, h: int | None = None) -> Da
     return inc.sparkSession.range(h).select(F.col("id").alias("hap_id")).join(own.select("hap_id"), "hap_id", "left_anti")
 
 
-def cohort_filter(rows: DataFrame, require=(), exclude=(), any_of=(), early_stop: bool = False) -> DataFrame:
-    """(hap_id) carrying all required alleles, none excluded and at least one of ``any_of``.
+def cohort_filter(rows: DataFrame, require=(), exclude=(), any_of=(), early_stop: bool = False, h: int | None = None) -> DataFrame:
+    """(hap_id) carrying all required alleles, none excluded and at least one of ``any_of``; of all ``h`` haplotypes if neither is given.
 
     The required alleles are taken from rare to frequent, by their stored counts; with ``early_stop``
     an empty intermediate result ends the chain.
     """
+    require = list(dict.fromkeys(require))
     k = {r["allele_id"]: r["k"] for r in rows.where(F.col("allele_id").isin(list(require))).select("allele_id", "k").collect()} if require else {}
     order = sorted(require, key=lambda a: (k.get(a, 0), str(a)))
     haps = lambda names: carriers(rows, names).select("hap_id")
@@ -95,6 +96,10 @@ def cohort_filter(rows: DataFrame, require=(), exclude=(), any_of=(), early_stop
     if any_of:
         some = haps(any_of).distinct()
         out = some if out is None else out.join(some, "hap_id", "left_semi")
+    if out is None:
+        if h is None:
+            raise ValueError("without required alleles the size of the cohort is needed")
+        out = rows.sparkSession.range(h).select(F.col("id").alias("hap_id"))
     if exclude:
         out = out.join(haps(exclude), "hap_id", "left_anti")
     return out

@@ -1,4 +1,7 @@
-"""Haplotype-major walks over the backbone, their inverted index, and the equivalence with carrier rows."""
+"""Haplotype-major walks over the backbone, their inverted index, and the equivalence with carrier rows.
+
+A walk goes through the contigs in the order of their names; no step leads from one to another.
+"""
 
 from __future__ import annotations
 
@@ -9,12 +12,12 @@ from . import rows as R
 
 
 def resolve_overlaps(alleles: DataFrame, inc: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(pairs that stay, pairs that lose): of overlapping alternatives on one haplotype the earlier start, then the least allele id, wins.
+    """(pairs that stay, pairs that lose): of overlapping alternatives on one contig of a haplotype the earlier start, then the least allele id, wins.
 
     Variants of one haplotype are scanned in order with the furthest end of the winners so far.
     """
-    sv = alleles.where("class = 'SV'").select("allele_id", "pos", (F.col("pos") + F.col("ref_len")).alias("stop"))
-    own = inc.join(sv, "allele_id").groupBy("hap_id").agg(F.array_sort(F.collect_list(F.struct("pos", "allele_id", "stop"))).alias("a"))
+    sv = alleles.where("class = 'SV'").select("contig", "allele_id", "pos", (F.col("pos") + F.col("ref_len")).alias("stop"))
+    own = inc.join(sv, "allele_id").groupBy("hap_id", "contig").agg(F.array_sort(F.collect_list(F.struct("pos", "allele_id", "stop"))).alias("a"))
     start = F.struct(F.lit(-1).cast("long").alias("end"), F.array().cast("array<struct<allele_id:long,kept:boolean>>").alias("out"))
 
     def step(acc, x):
@@ -27,19 +30,23 @@ def resolve_overlaps(alleles: DataFrame, inc: DataFrame) -> tuple[DataFrame, Dat
 
 
 def build(segs: DataFrame, alleles: DataFrame, inc: DataFrame, haps: DataFrame) -> DataFrame:
-    """(path_id, at, node, allele_id): every haplotype's nodes; ``at`` orders them.
+    """(path_id, contig, at, node, allele_id): every haplotype's nodes; ``at`` orders those of a contig.
 
-    A carried structural variant replaces the reference segments that it covers. Each haplotype gets all segments, then those
-    covered by its own alternatives leave (an anti-join on segment and haplotype): work in proportion to the walks themselves.
+    A carried structural variant replaces the reference segments that it covers, which are found by their ends, as both ends of
+    a variant are cuts. Each haplotype gets all segments, then those covered by its own alternatives
+    leave (an anti-join on segment and haplotype): work in proportion to the walks themselves.
     """
     sv = alleles.where("class = 'SV'").select("contig", "allele_id", "pos", "ref_len")
     spans = sv.withColumn("stop", F.col("pos") + F.col("ref_len"))
     carried = inc.select("allele_id", F.col("hap_id").alias("path_id")).distinct().join(F.broadcast(spans) if _small(spans) else spans, "allele_id")
-    covered = segs.join(spans, "contig").where((segs["start"] >= F.col("pos")) & (segs["end"] <= F.col("stop"))).select("seg_no", "allele_id")
+    region = segs.groupBy("contig").agg(F.min("start").alias("_lo"), F.max("end").alias("_hi"))  # a row per contig
+    inside = spans.join(F.broadcast(region), "contig").select("contig", "allele_id", F.greatest("pos", "_lo").alias("start"), F.least("stop", "_hi").alias("end")).where("start < end")
+    ends = inside.join(segs.select("contig", "start", F.col("seg_no").alias("_a")), ["contig", "start"]).join(segs.select("contig", "end", F.col("seg_no").alias("_z")), ["contig", "end"])
+    covered = ends.select(F.explode(F.sequence("_a", "_z")).alias("seg_no"), "allele_id")
     gone = carried.select("path_id", "allele_id").join(covered, "allele_id").select("path_id", "seg_no").distinct()
     every = haps.select(F.col("hap_id").alias("path_id")).crossJoin(F.broadcast(segs) if _small(segs) else segs)
-    ref = every.join(gone, ["path_id", "seg_no"], "left_anti").select("path_id", (2 * F.col("start") + 1).alias("at"), F.concat(F.lit("R"), F.col("seg_no").cast("string")).alias("node"), F.lit(None).cast("long").alias("allele_id"))
-    alt = carried.select("path_id", (2 * F.col("pos")).alias("at"), F.concat(F.lit("A"), F.col("allele_id").cast("string")).alias("node"), "allele_id")
+    ref = every.join(gone, ["path_id", "seg_no"], "left_anti").select("path_id", "contig", (2 * F.col("start") + 1).alias("at"), F.concat(F.lit("R"), F.col("seg_no").cast("string")).alias("node"), F.lit(None).cast("long").alias("allele_id"))
+    alt = carried.select("path_id", "contig", (2 * F.col("pos")).alias("at"), F.concat(F.lit("A"), F.col("allele_id").cast("string")).alias("node"), "allele_id")
     return ref.unionByName(alt)
 
 
@@ -52,19 +59,19 @@ def _small(df: DataFrame) -> bool:
 
 
 def numbered(walk: DataFrame) -> DataFrame:
-    """Adds seq from 0 in the order of ``at``."""
-    return walk.withColumn("seq", (F.row_number().over(Window.partitionBy("path_id").orderBy("at", "node")) - 1).cast("int"))
+    """Adds seq from 0 in the order of contig and ``at``."""
+    return walk.withColumn("seq", (F.row_number().over(Window.partitionBy("path_id").orderBy("contig", "at", "node")) - 1).cast("int"))
 
 
 def site_lists(inc: DataFrame, alleles: DataFrame) -> DataFrame:
     """(path_id, alleles): the ordered alleles that a haplotype carries, without backbone."""
-    own = inc.select("allele_id", "hap_id").distinct().join(alleles.select("allele_id", "pos"), "allele_id")
-    return own.groupBy(F.col("hap_id").alias("path_id")).agg(F.array_sort(F.collect_list(F.struct("pos", "allele_id"))).alias("a")).select("path_id", F.col("a.allele_id").alias("alleles"))
+    own = inc.select("allele_id", "hap_id").distinct().join(alleles.select("allele_id", "contig", "pos"), "allele_id")
+    return own.groupBy(F.col("hap_id").alias("path_id")).agg(F.array_sort(F.collect_list(F.struct("contig", "pos", "allele_id"))).alias("a")).select("path_id", F.col("a.allele_id").alias("alleles"))
 
 
 def edges_of(walk: DataFrame) -> DataFrame:
-    """(src, dst, path_id) of every step."""
-    w = Window.partitionBy("path_id").orderBy("at", "node")
+    """(src, dst, path_id) of every step within a contig."""
+    w = Window.partitionBy("path_id", "contig").orderBy("at", "node")
     return walk.select("path_id", F.col("node").alias("src"), F.lead("node").over(w).alias("dst")).where("dst is not null")
 
 
@@ -93,11 +100,11 @@ def path_of(walk: DataFrame, paths: list) -> DataFrame:
 
 def neighborhood(walk: DataFrame, allele, radius: int, unit: str = "steps") -> DataFrame:
     """(path_id, offset, node) around an allele on each of its carriers, within steps or bases."""
-    steps = walk.where(F.col("allele_id") == allele).select("path_id", F.col("at").alias("_at"))
+    steps = walk.where(F.col("allele_id") == allele).select("path_id", "contig", F.col("at").alias("_at"))
     if unit == "bp":
-        near = walk.join(steps, "path_id").where(F.abs(F.col("at") - F.col("_at")) <= 2 * radius)
+        near = walk.join(steps, ["path_id", "contig"]).where(F.abs(F.col("at") - F.col("_at")) <= 2 * radius)
         return near.select("path_id", F.floor((F.col("at") - F.col("_at")) / 2).alias("offset"), "node")
-    own = numbered(walk.join(steps.select("path_id"), "path_id", "left_semi"))
+    own = numbered(walk.join(steps.select("path_id", "contig"), ["path_id", "contig"], "left_semi"))
     centre = own.where(F.col("allele_id") == allele).select("path_id", F.col("seq").alias("_s"))
     return own.join(centre, "path_id").where(F.abs(F.col("seq") - F.col("_s")) <= radius).select("path_id", (F.col("seq") - F.col("_s")).alias("offset"), "node")
 
@@ -109,12 +116,14 @@ def successors(walk: DataFrame) -> DataFrame:
 
 def before(walk: DataFrame, a: str, c: str) -> DataFrame:
     """(path_id, a_first) of walks with both nodes: whether the first a comes before the first c."""
-    at = lambda x: F.min(F.when(F.col("node") == x, F.col("at")))
+    at = lambda x: F.min(F.when(F.col("node") == x, F.struct("contig", "at")))
     return walk.where(F.col("node").isin(a, c)).groupBy("path_id").agg(at(a).alias("_a"), at(c).alias("_c")).where("_a is not null and _c is not null").select("path_id", (F.col("_a") < F.col("_c")).alias("a_first"))
 
 
-def local_haplotypes(walk: DataFrame, lo: int, hi: int) -> DataFrame:
-    """(nodes, n): groups of walks with the same nodes that begin in lo <= position < hi."""
+def local_haplotypes(walk: DataFrame, lo: int, hi: int, contig: str | None = None) -> DataFrame:
+    """(nodes, n): groups of walks with the same nodes that begin in lo <= position < hi, of one contig; without it, of the only one."""
     local = walk.where((F.col("at") >= 2 * lo) & (F.col("at") < 2 * hi))
+    if contig is not None:
+        local = local.where(F.col("contig") == contig)
     own = local.groupBy("path_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("at", "node"))), lambda x: x["node"]), ",").alias("nodes"))
     return own.groupBy("nodes").agg(F.count(F.lit(1)).alias("n"))

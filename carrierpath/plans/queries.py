@@ -266,6 +266,17 @@ def _(s, d):
     return ops.cohort_filter(_rows(s, d)[0], require=[A], exclude=[B, 2])
 
 
+@query("cohort_exclude_only")
+def _(s, d):
+    enc, _, h = _rows(s, d)
+    return ops.cohort_filter(enc, exclude=[A, B], h=h)
+
+
+@query("cohort_repeated_names")
+def _(s, d):
+    return ops.cohort_filter(_rows(s, d)[0], require=[A, B, A])
+
+
 @query("cohort_any_of")
 def _(s, d):
     return ops.cohort_filter(_rows(s, d)[0], any_of=[A, B, 2], exclude=[3])
@@ -487,6 +498,38 @@ def _(s, d):
     return baselines.carriers_by_walk(walk, f"A{_rarest(s, d, inc)}")
 
 
+def _two_contigs(s, d):
+    """The catalogue dealt to two contigs by the parity of the allele, so that both have the same positions."""
+    alleles = fx.catalogue(s, d).withColumn("contig", F.concat(F.lit("c"), (F.col("allele_id") % 2).cast("string")))
+    return backbone.segments(alleles, *fx.region(s, d)), alleles
+
+
+@query("segments_two_contigs")
+def _(s, d):
+    return _two_contigs(s, d)[0]
+
+
+@query("graph_size_two_contigs")
+def _(s, d):
+    nodes, edges = backbone.graph(*_two_contigs(s, d))
+    return backbone.size(nodes, edges).unionByName(nodes.agg(F.countDistinct("node").alias("n")).withColumn("item", F.lit("names")))
+
+
+@query("walk_two_contigs")
+def _(s, d):
+    segs, alleles = _two_contigs(s, d)
+    _, inc, h = _walk(s, d)
+    walk = walks.build(segs, alleles, inc, s.range(h).select(F.col("id").alias("hap_id")))
+    return walks.numbered(walk).select("path_id", "contig", F.col("seq").cast("long").alias("seq"), "node")
+
+
+@query("successors_two_contigs")
+def _(s, d):
+    segs, alleles = _two_contigs(s, d)
+    _, inc, h = _walk(s, d)
+    return walks.successors(walks.build(segs, alleles, inc, s.range(h).select(F.col("id").alias("hap_id"))))
+
+
 @query("overlap_conflicts")
 def _(s, d):
     inc, _ = pairs(s, d, "supplier")
@@ -502,7 +545,8 @@ def _(s, d):
 
 @query("comparison_matrix")
 def _(s, d):
-    return baselines.comparison_matrix(s)
+    inc, h = pairs(s, d, "supplier")
+    return baselines.measured(incidence.counts(inc), h, A)
 
 
 # Paths and the coder ----------------------------------------------------------------------------
@@ -559,8 +603,7 @@ def _(s, d):
 
     walk = _walk(s, d)[0]
     steps = walks.edges_of(walk)
-    edges = steps.select("src", "dst").distinct()
-    edges = cut(edges.withColumn("edge_id", F.row_number().over(Window.orderBy("src", "dst")).cast("long")))  # one row per edge of the graph
+    edges = normalize.node_index(steps.select(F.struct("src", "dst").alias("label"))).select("label.src", "label.dst", (F.col("idx") + 1).alias("edge_id"))
     at = walk.withColumn("at2", F.col("at"))
     w = Window.partitionBy("path_id").orderBy("at", "node")
     own = at.select("path_id", "at", F.col("node").alias("src"), F.lead("node").over(w).alias("dst")).where("dst is not null").join(edges, ["src", "dst"])

@@ -22,12 +22,12 @@ def replay(spark: SparkSession, folder: str, late: str = "1 hour", files: int =
 def transitions(stream: DataFrame) -> DataFrame:
     """(user_id, ctx, sym, n) of each micro-batch: steps between consecutive events of a user; the state is the user's last symbol.
 
-    A user's events must come in order across batches; within one they are sorted here.
+    A user's events must come in order across batches; within one they are sorted here, by time and then by id.
     """
 
     def step(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         last = state.get[0] if state.exists else "START"
-        rows = pd.concat(list(frames)).sort_values("ts")
+        rows = pd.concat(list(frames)).sort_values(["ts", "event_id"])
         made: dict[tuple[str, str], int] = {}
         for sym in rows["event_type"]:
             made[last, sym] = made.get((last, sym), 0) + 1
@@ -35,7 +35,7 @@ def transitions(stream: DataFrame) -> DataFrame:
         state.update((last,))
         yield pd.DataFrame([(key[0], a, b, n) for (a, b), n in made.items()], columns=["user_id", "ctx", "sym", "n"])
 
-    own = stream.select("user_id", "ts", "event_type")
+    own = stream.select("user_id", "ts", "event_id", "event_type")
     return own.groupBy("user_id").applyInPandasWithState(step, "user_id long, ctx string, sym string, n long", "last string", "append", GroupStateTimeout.NoTimeout)
 
 
@@ -48,7 +48,7 @@ def window_carriers(stream: DataFrame, width: str = "1 day", slide: str | None =
 
 def session_walks(stream: DataFrame, gap: str = "1 hour") -> DataFrame:
     """(user_id, start, labels): a gap closes a walk."""
-    own = stream.groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.array_sort(F.collect_list(F.struct("ts", "event_type"))).alias("x"))
+    own = stream.groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.array_sort(F.collect_list(F.struct("ts", "event_id", "event_type"))).alias("x"))
     return own.select("user_id", F.col("s.start").alias("start"), F.transform("x", lambda e: e["event_type"]).alias("labels"))
 
 

@@ -49,3 +49,26 @@ def test_overlaps_keep_the_earlier(spark):
     inc = spark.createDataFrame([(1, 0), (2, 0), (3, 0), (2, 1)], "allele_id long, hap_id long")
     won, lost = walks.resolve_overlaps(alleles, inc)
     assert {tuple(r) for r in won.collect()} == {(1, 0), (3, 0), (2, 1)} and {tuple(r) for r in lost.collect()} == {(2, 0)}
+
+
+def test_two_contigs_keep_their_own_segments(spark):
+    """An alternative on one contig leaves the other contig's segments alone, though positions and counts are the same."""
+    alleles = catalogue(spark, [("c1", 1, 2000, 500, "SV"), ("c2", 2, 2000, 500, "SV"), ("c2", 3, 7000, 0, "SV")])
+    segs = backbone.segments(alleles, 0, 10_000)
+    assert [(r["contig"], r["seg_no"]) for r in segs.orderBy("seg_no").collect()] == [("c1", 0), ("c1", 1), ("c1", 2), ("c2", 3), ("c2", 4), ("c2", 5), ("c2", 6)]
+    found = {r["allele_id"]: (r["before_seg"], r["first_seg"], r["after_seg"]) for r in backbone.bubbles(segs, alleles).collect()}
+    assert found == {1: (0, 1, 2), 2: (3, 4, 5), 3: (5, None, 6)}
+    inc = spark.createDataFrame([(1, 0), (2, 1), (3, 1)], "allele_id long, hap_id long")
+    walk = walks.build(segs, alleles, inc, spark.range(2).select(F.col("id").alias("hap_id")))
+    path = lambda i: [r["node"] for r in walks.path_of(walk, [i]).orderBy("seq").collect()]
+    assert path(0) == ["R0", "A1", "R2", "R3", "R4", "R5", "R6"] and path(1) == ["R0", "R1", "R2", "R3", "A2", "R5", "A3", "R6"]
+    assert ("R2", "R3") not in {(r["src"], r["dst"]) for r in walks.edges_of(walk).collect()}
+    assert walks.verify_dual(inc, walk).count() == 0
+    assert [r["seg_no"] for r in backbone.compact(backbone.segments(alleles, 0, 10_000, "tiled"), backbone.cuts(alleles, 0, 10_000)).orderBy("contig", "start").collect()] == list(range(7))
+
+
+def test_variant_beyond_the_region(spark):
+    alleles = catalogue(spark, [("c", 1, 9000, 5000, "SV")])
+    inc = spark.createDataFrame([(1, 0)], "allele_id long, hap_id long")
+    walk = walks.build(backbone.segments(alleles, 0, 10_000), alleles, inc, spark.range(1).select(F.col("id").alias("hap_id")))
+    assert [r["node"] for r in walks.path_of(walk, [0]).orderBy("seq").collect()] == ["R0", "A1"]
