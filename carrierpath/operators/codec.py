@@ -13,6 +13,8 @@ from . import markov, prefix
 
 #: Largest codebook (25 bytes a row, packed) that decoders get by broadcast.
 BROADCAST_ROWS = 8_000_000
+#: Largest codebook (under 100 bytes a row) that encoders get by broadcast; a larger one is joined by a shuffle, of which hot transitions are split at run time.
+ENCODER_ROWS = 1_000_000
 #: Code rows of contexts that a decoder keeps unpacked.
 UNPACKED_ROWS = 500_000
 #: Symbols after which a decoder gives up.
@@ -26,7 +28,10 @@ def pack_bits(bits: pd.Series) -> pd.Series:
 
 
 def _coded(paths: DataFrame, codebook: DataFrame, escape: str = "off", width: int = 0) -> DataFrame:
-    steps = markov.transitions(paths).join(codebook.select("ctx", "sym", "code"), ["ctx", "sym"], "left")
+    codes = codebook.select("ctx", "sym", "code")
+    if codebook.limit(ENCODER_ROWS + 1).count() <= ENCODER_ROWS:  # no step moves for its code
+        codes = F.broadcast(codes)
+    steps = markov.transitions(paths).join(codes, ["ctx", "sym"], "left")
     if escape == "literal":  # an unseen node as the escape code and its number
         esc = codebook.where(F.col("sym") == markov.ESC).select("ctx", F.col("code").alias("_esc"))
         literal = F.when(F.col("sym") >= 0, F.concat("_esc", F.lpad(F.bin("sym"), width, "0")))
@@ -120,7 +125,7 @@ class Decoder:
 def _decoder(codebook: DataFrame, escape: str, width: int):
     """The codebook, of a checked size, as a broadcast decoder."""
     if codebook.limit(BROADCAST_ROWS + 1).count() > BROADCAST_ROWS:
-        raise ValueError(f"codebook above {BROADCAST_ROWS} rows: decode with the codebooks of parts of the walks")
+        raise ValueError(f"codebook above {BROADCAST_ROWS} rows: decode blocks with decode_blocks_joined")
     value = F.when(F.col("code") == "", F.lit(0)).otherwise(F.conv("code", 2, 10).cast("long"))
     got = codebook.select("ctx", "sym", F.length("code").cast("byte").alias("size"), value.alias("value")).toArrow()
     columns = [c.to_numpy() for c in got.columns]
@@ -181,6 +186,53 @@ def decode_blocks(blocks: DataFrame, codebook: DataFrame) -> DataFrame:
     return _run(blocks.select("path_id", "entry_ctx", "first_seq", "n_symbols", "bits", "n_bits"), codebook, "path_id long, seq long, node long, status string", make)
 
 
+def block_contexts(paths: DataFrame, block: int = 4096) -> DataFrame:
+    """(path_id, block_no, ctx): the distinct contexts that a block goes through, to be stored beside its bits."""
+    return markov.transitions(paths).select("path_id", F.floor(F.col("seq") / block).cast("long").alias("block_no"), "ctx").distinct()
+
+
+def decode_blocks_joined(blocks: DataFrame, contexts: DataFrame, codebook: DataFrame) -> DataFrame:
+    """(path_id, seq, node, status) like :func:`decode_blocks`, for codebooks of any size.
+
+    Nothing is broadcast: every block meets the codes of its own contexts (``contexts`` of :func:`block_contexts`) in one
+    task, which holds these codes only, at most as many contexts as a block has symbols.
+    """
+    value = F.when(F.col("code") == "", F.lit(0)).otherwise(F.conv("code", 2, 10).cast("long"))
+    codes = codebook.select("ctx", "sym", F.length("code").alias("size"), value.alias("value"))
+    none = F.lit(None)
+    codes = contexts.join(codes, "ctx").select("path_id", "block_no", F.lit(0).alias("kind"), "ctx", "sym", F.col("size").cast("long").alias("size"), "value", none.cast("long").alias("first_seq"), none.cast("binary").alias("bits"))
+    bits = blocks.select("path_id", "block_no", F.lit(1).alias("kind"), F.col("entry_ctx").alias("ctx"), F.col("n_symbols").alias("sym"), F.col("n_bits").alias("size"), F.lit(0).cast("long").alias("value"), "first_seq", "bits")
+
+    def run(batches):
+        at, held, out = None, [], []
+        for b in batches:
+            for path, number, kind, ctx, sym, size, value, seq, data in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if (path, number) != at:
+                    at, held = (path, number), []
+                if not kind:
+                    held.append((ctx, sym, size, value))
+                    continue
+                packed = np.array(held, dtype=np.int64).reshape(-1, 4)
+                packed = packed[np.argsort(packed[:, 0], kind="stable")]
+                decoder = Decoder([packed[:, i] for i in range(4)])
+                for i, (_, _, node, _) in zip(range(sym), decoder.steps(data or b"", size, ctx, sym), strict=False):
+                    if isinstance(node, str) or node >= 0:
+                        out.append((path, seq + i, None, node) if isinstance(node, str) else (path, seq + i, node, "ok"))
+                if len(out) >= 20_000:
+                    yield _decoded(out)
+                    out = []
+        if out:
+            yield _decoded(out)
+
+    met = codes.unionByName(bits).repartition("path_id", "block_no").sortWithinPartitions("path_id", "block_no", "kind")
+    return met.mapInArrow(run, "path_id long, seq long, node long, status string")
+
+
+def _decoded(out: list[tuple]) -> pa.RecordBatch:
+    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string())
+    return pa.record_batch([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=["path_id", "seq", "node", "status"])
+
+
 def trace(encoded: DataFrame, codebook: DataFrame) -> DataFrame:
     """(path_id, step, ctx, code, sym, bit_offset, status) of every decoding step."""
 

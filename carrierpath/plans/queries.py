@@ -644,6 +644,14 @@ for _name in ("events", "roles", "walk_supplier", "words_short", "words"):
     _add(f"decode_{_name}", _decoded)
     _add(f"decode_blocks_{_name}", _blocks)
 
+    def _joined(s, d, n=_name):
+        paths = cut(_paths(s, d, n)[0])
+        book = cut(codec.fit(paths))
+        return codec.decode_blocks_joined(codec.encode_blocks(paths, book, 32), codec.block_contexts(paths, 32), book).select("path_id", "seq", "node")
+
+    if _name != "words":  # every block would meet the whole alphabets of common words
+        _add(f"decode_blocks_joined_{_name}", _joined)
+
 
 @query("decode_prefix")
 def _(s, d):

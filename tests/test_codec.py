@@ -113,3 +113,18 @@ def test_save_and_load(spark, tmp_path):
     codec.save(str(tmp_path / "m"), codec.encode(paths, book), book, index)
     bits, again, _ = codec.load(spark, str(tmp_path / "m"))
     assert codec.verify(paths, bits, again).count() == 0 and codec.bytes_on_disk(spark, str(tmp_path / "m")) > 0
+
+
+def test_blocks_decode_with_the_codes_of_their_contexts_alone(spark, monkeypatch):
+    rng = random.Random(8)
+    paths = walks(spark, [[rng.choice([1, 1, 1, 2, 3, 40]) for _ in range(rng.choice([0, 1, 5, 70]))] for _ in range(25)])
+    book = codec.fit(paths).checkpoint()
+    monkeypatch.setattr(codec, "BROADCAST_ROWS", 3)
+    blocks = codec.encode_blocks(paths, book, 8).checkpoint()
+    with pytest.raises(ValueError):
+        codec.decode_blocks(blocks, book)
+    got = {(r["path_id"], r["seq"]): (r["node"], r["status"]) for r in codec.decode_blocks_joined(blocks, codec.block_contexts(paths, 8), book).collect()}
+    want = {(r["path_id"], i): (x, "ok") for r in paths.collect() for i, x in enumerate(r["nodes"])}
+    assert got == want
+    monkeypatch.setattr(codec, "ENCODER_ROWS", 0)  # the same bits when the codes are joined by a shuffle
+    assert {tuple(r) for r in codec.encode_blocks(paths, book, 8).collect()} == {tuple(r) for r in blocks.collect()}
