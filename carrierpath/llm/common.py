@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -20,6 +21,8 @@ def shared_folder(spark: SparkSession) -> str:
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
         named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not re.fullmatch(r"local(\[.*\])?", sc.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="carrierpath-checkpoint-"))
     return sc.getCheckpointDir()
 
@@ -59,8 +62,6 @@ def one_of_each_key(rows: DataFrame, key: str) -> DataFrame:
 
 def word_count(text: Column) -> Column:
     """Number of runs of anything but white space."""
-    # Runs begin where a non-space follows a space or the start; counting the
-    # separators of the trimmed text avoids building the words.
     bare = F.regexp_replace(text, r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", "")
     return F.when(bare == "", F.lit(0)).otherwise(
         F.size(F.split(bare, SPACES))

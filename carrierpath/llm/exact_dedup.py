@@ -18,7 +18,7 @@ text) each get a row in the groups, all of them marked if their id is the kept o
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import SPACES, cut, text_of
@@ -78,13 +78,10 @@ def duplicate_groups(
     heavy = cut(heavy_digests(keyed, min_heavy, max_heavy))
     ready = F.broadcast(heavy)  # at most max_heavy rows
     frequent = keyed.join(ready, "digest").select("doc_id", "digest", "keep_id", "group_size")
-    own = Window.partitionBy("digest")
-    rest = keyed.join(ready.select("digest"), "digest", "left_anti").select(
-        "doc_id",
-        "digest",
-        F.min("doc_id").over(own).alias("keep_id"),
-        F.count(F.lit(1)).over(own).alias("group_size"),
-    )
+    few = keyed.join(ready.select("digest"), "digest", "left_anti")
+    # Counted with partial sums and joined back, so that a frequent digest that the sketches missed is no single task's.
+    groups = few.groupBy("digest").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
+    rest = few.join(groups, "digest").select("doc_id", "digest", "keep_id", "group_size")
     return frequent.unionByName(rest).select(
         "doc_id",
         "keep_id",

@@ -31,6 +31,8 @@ INLINE = frozenset(
 )
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style noscript template textarea iframe svg object canvas math audio video select title".split())
+#: Of these, the ones that go on to the end of the page if they are never closed; of others only the opening tag is left out then.
+TO_THE_END = frozenset("script style textarea iframe title".split())
 #: An opening tag of the first closes an open one of the second.
 CLOSES = {
     **{t: ("p",) for t in "address article aside blockquote details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split()},
@@ -69,6 +71,7 @@ def leaf_blocks(page: str) -> list[Block]:
     parts: list[str] = []
     links = linked = 0
     skip = ""
+    never_closed: set[str] = set()
 
     def flush():
         nonlocal linked
@@ -92,7 +95,13 @@ def leaf_blocks(page: str) -> list[Block]:
     while at < end:
         if skip:  # raw text ends with its own closing tag only
             m = re.compile(rf"</{skip}\b[^>]*(?:>|\Z)", re.I).search(page, at)
-            at, skip = (m.end() if m else end), ""
+            if m:
+                at = m.end()
+            elif skip in TO_THE_END:
+                at = end
+            else:
+                never_closed.add(skip)
+            skip = ""
             continue
         m = _PIECE.match(page, at)
         at = m.end()
@@ -112,7 +121,7 @@ def leaf_blocks(page: str) -> list[Block]:
                 close((tag,), () if tag in ("body", "html") else ("article", "main", "body") if tag in ("p", "li") else ())
             continue
         if tag in RAW:
-            if not m[4]:
+            if not m[4] and tag not in never_closed:
                 skip = tag
             if tag != "wbr":
                 parts.append(" ")

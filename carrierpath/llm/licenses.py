@@ -122,8 +122,12 @@ def canonical(text: Column) -> Column:
     return spelled(out)
 
 
+#: What each known line holds.
+LINE_MARKS = r"licen[cs]e|licensed|copyright|permission|warrant|redistribut|\bcc"
+
+
 def spelled(text: Column) -> Column:
-    """Spellings made one; only words that begin like one of them are looked at."""
+    """Spellings made one, wherever they stand."""
     out = text
     for found, written in SPELLINGS:
         if found != written:
@@ -152,8 +156,10 @@ def scan(docs: DataFrame, known: DataFrame | None = None, id_col: str = "doc_id"
 
     ``license_id`` is null unless the whole text is a known one; ``line_licenses``
     lists the licences of single lines, in order and joined by commas. ``known`` is a
-    table (license_id, text), or (license_id, digest) of canonical texts.
+    table (license_id, text), or (license_id, digest) of canonical texts; every line is looked up in it. The known lines
+    that come with this module all hold one of ``LINE_MARKS``, so with them lines without one are not looked up.
     """
+    marked = known is None
     if known is None:
         known = known_digests(docs.sparkSession)
     else:
@@ -163,7 +169,9 @@ def scan(docs: DataFrame, known: DataFrame | None = None, id_col: str = "doc_id"
     # One row of known lines by digest: a map lookup keeps every document in its row.
     as_map = known.agg(F.map_from_entries(F.collect_list(F.struct("digest", "license_id"))).alias("by_digest"))
     own = docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")).withColumn("text_digest", digest(F.col("text")))
-    lines = F.filter(F.split("text", "\r\n|\r|\n"), lambda x: F.lower(x).rlike("licen[cs]e|licensed|copyright|permission|warrant|redistribut|\\bcc"))
+    lines = F.split("text", "\r\n|\r|\n")
+    if marked:
+        lines = F.filter(lines, lambda x: F.lower(x).rlike(LINE_MARKS))
     found = F.filter(F.transform(lines, lambda x: F.element_at("by_digest", digest(x))), lambda x: x.isNotNull())
     return (
         own.join(known.select(F.col("digest").alias("text_digest"), "license_id"), "text_digest", "left")

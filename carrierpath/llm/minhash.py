@@ -1,7 +1,7 @@
 """Document fingerprints by MinHash.
 
 Words are runs of anything but white space in the text with A-Z in lower case; a shingle is five
-words in a row, or the whole text if it has fewer. Shingles are hashed with numpy for a whole batch at once: a
+words in a row, or the whole text if it has fewer. Shingles are hashed with numpy, all of a text at once: a
 prefix sum of a polynomial in the bytes gives every word's hash, five word hashes
 mix into a shingle's. ``HASHES`` multiply-shift permutations over the shingle hashes give the
 signature; of each minimum the lowest 16 bits are kept, which agree by chance once in 65,536.

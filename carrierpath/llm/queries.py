@@ -79,5 +79,12 @@ def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", "held_out", "score", "predicted", "n_passages")
 
 
+def near_duplicates_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The bands of the fingerprints joined, and the Jaccard similarity of what meets verified."""
+    from .minhash import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {name: f for name, f in globals().items() if name.startswith("op") and callable(f)}
+    return {name: f for name, f in globals().items() if name.startswith(("op", "near_duplicates")) and callable(f)}

@@ -1,3 +1,4 @@
+import re
 import pathlib
 
 from carrierpath.llm import licenses, secrets
@@ -55,3 +56,11 @@ def test_whole_texts_of_long_licences_and_names_before_years(spark):
     known = spark.createDataFrame([("own", wrapped)], "license_id string, text string")
     own = spark.createDataFrame([r[:2] for r in rows if r[2] == "own"], "doc_id long, text string")
     assert {r["license_id"] for r in licenses.scan(own, known).collect()} == {"own"}
+
+
+def test_lines_of_a_table_passed_in_and_marks_of_the_known_ones(spark):
+    known = spark.createDataFrame([("own", "Do as you like"), ("twin", "do as you like!")], "license_id string, text string")
+    docs = spark.createDataFrame([(1, "Some text.\nDo  as you LIKE.\nMore."), (2, "do as you like"), (3, "Do as you please"), (4, None)], "doc_id long, text string")
+    got = {r["doc_id"]: (r["license_id"], r["line_licenses"]) for r in licenses.scan(docs, known).collect()}
+    assert got == {1: (None, "own"), 2: ("own", "own"), 3: (None, ""), 4: (None, "")}
+    assert all(re.search(licenses.LINE_MARKS, t.lower()) for _, t in licenses.KNOWN if "\n" not in t.strip())
