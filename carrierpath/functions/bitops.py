@@ -84,3 +84,28 @@ def carriers_of_words(words: Column) -> Column:
 def words_touched(k: Column, enc: Column, h: int) -> Column:
     """Ids or words that a scan of the row reads."""
     return F.when(enc == "list", k).otherwise(F.lit(-(-h // WORD))).cast("long")
+
+
+def varint_bytes(ids: Column) -> Column:
+    """Ascending ids as bytes: the step from each id to the next (the first from zero) in groups of seven bits, lowest first; the high bit says that more follow."""
+    steps = F.transform(ids, lambda x, i: x - F.coalesce(F.get(ids, i - 1), F.lit(0)))
+
+    def groups(step: Column) -> Column:
+        last = F.greatest(F.lit(1), F.ceil(F.length(F.bin(step)) / 7)).cast("int") - 1
+        one = lambda j: step.bitwiseAND(F.call_function("shiftleft", F.lit(127).cast("long"), 7 * j))
+        byte = lambda j: F.call_function("shiftright", one(j), 7 * j) + F.when(j < last, 128).otherwise(0)
+        return F.array_join(F.transform(F.sequence(F.lit(0), last), lambda j: F.lpad(F.hex(byte(j)), 2, "0")), "")
+
+    return F.unhex(F.array_join(F.transform(steps, groups), ""))
+
+
+def varint_steps(packed: Column) -> Column:
+    """The steps that :func:`varint_bytes` wrote; their running sums are the ids."""
+    each = F.regexp_extract_all(F.hex(packed), F.lit("((?:[89A-F][0-9A-F])*[0-7][0-9A-F])"), F.lit(1))
+
+    def value(text: Column) -> Column:
+        part = lambda j: F.conv(F.substr(text, 2 * j + 1, F.lit(2)), 16, 10).cast("long").bitwiseAND(127)
+        places = F.sequence(F.lit(0), F.floor(F.length(text) / 2).cast("int") - 1)
+        return F.aggregate(places, F.lit(0).cast("long"), lambda acc, j: acc + F.call_function("shiftleft", part(j), 7 * j))
+
+    return F.transform(each, value)

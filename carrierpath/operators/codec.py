@@ -122,7 +122,7 @@ class Decoder:
         yield ctx, "", "runaway", at
 
 
-def _decoder(codebook: DataFrame, escape: str, width: int):
+def broadcast_codes(codebook: DataFrame, escape: str = "off", width: int = 0):
     """The codebook, of a checked size, as a broadcast decoder."""
     if codebook.limit(BROADCAST_ROWS + 1).count() > BROADCAST_ROWS:
         raise ValueError(f"codebook above {BROADCAST_ROWS} rows: decode blocks with decode_blocks_joined")
@@ -134,7 +134,7 @@ def _decoder(codebook: DataFrame, escape: str, width: int):
 
 
 def _run(encoded: DataFrame, codebook: DataFrame, schema: str, make, escape: str = "off", width: int = 0) -> DataFrame:
-    sent = _decoder(codebook, escape, width)
+    sent = broadcast_codes(codebook, escape, width)
     names = [f.strip().split(" ")[0] for f in schema.split(",")]
     kinds = {"long": pa.int64(), "int": pa.int32(), "string": pa.string()}
     types = [kinds[f.strip().split(" ")[1]] for f in schema.split(",")]
@@ -255,6 +255,17 @@ def fit(paths: DataFrame, alpha: float = 1.0, force_stop: bool = True, escape: s
     return prefix.codebooks(markov.weights(markov.count(paths), alpha, force_stop, escape), cache, single_symbol)
 
 
+def refit(codebook: DataFrame, delta: DataFrame, alpha: float = 1.0, force_stop: bool = True, escape: str = "off", cache: str = "profile", single_symbol: str = "empty") -> DataFrame:
+    """The codebook after the new counts ``delta``; only contexts that occur in them get new codes, all others keep theirs.
+
+    The parameters must be those of :func:`fit`. A table of a context's new counts is as small as the delta, so the old book is read once and not ranked again.
+    """
+    touched = markov.touched(delta)
+    counts = markov.update(codebook.join(touched, "ctx", "left_semi").where("n > 0"), delta)
+    fresh = prefix.codebooks(markov.weights(counts, alpha, force_stop, escape), cache, single_symbol)
+    return codebook.join(touched, "ctx", "left_anti").unionByName(fresh.select(*codebook.columns))
+
+
 def save(path: str, encoded: DataFrame, codebook: DataFrame, index: DataFrame) -> None:
     """Parquet of the bits, the model as (ctx, sym, n, w, rank, len) and the label index; codes are made again on load."""
     encoded.write.mode("overwrite").parquet(f"{path}/bits")

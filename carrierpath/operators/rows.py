@@ -6,7 +6,7 @@ crossover, and only rows that the bitmap wins build words of 64 bits by ``bit_or
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import bitops as B
@@ -48,6 +48,29 @@ def encode(inc: DataFrame, h: int, policy: str = "min_cost", overhead_bits: int
     return costs.join(lists.unionByName(dense), "allele_id").select("allele_id", "class", "k", "enc", "carriers", "words", "bits")
 
 
+def encode_varint(inc: DataFrame, h: int) -> DataFrame:
+    """(allele_id, class, k, enc, packed, words, bits): like :func:`encode`, with lists stored as bytes of their steps.
+
+    A list takes a byte for each id at least, so none has more than h / 8 ids.
+    """
+    pairs = inc.select("allele_id", "hap_id", "class").dropDuplicates(["allele_id", "hap_id"])
+    sizes = cost.delta_varint(pairs, h).join(pairs.groupBy("allele_id").agg(F.first("class").alias("class")), "allele_id")
+    listed = F.col("bits_varint") <= h
+    sizes = sizes.select("allele_id", "class", "k", F.when(listed, "list").otherwise("bitmap").alias("enc"), F.least(F.lit(h).cast("long"), "bits_varint").alias("bits"))
+    chosen = pairs.select("allele_id", "hap_id").join(sizes.select("allele_id", "enc"), "allele_id")
+    lists = to_lists(chosen.where("enc = 'list'")).select("allele_id", B.varint_bytes(F.col("carriers")).alias("packed"), F.lit(None).cast("array<long>").alias("words"))
+    dense = to_words(chosen.where("enc = 'bitmap'"), h).select("allele_id", F.lit(None).cast("binary").alias("packed"), "words")
+    return sizes.join(lists.unionByName(dense), "allele_id").select("allele_id", "class", "k", "enc", "packed", "words", "bits")
+
+
+def decode_varint(rows: DataFrame) -> DataFrame:
+    """(allele_id, hap_id): the exact inverse of :func:`encode_varint`."""
+    steps = rows.where("enc = 'list'").select("allele_id", F.posexplode(B.varint_steps(F.col("packed"))).alias("at", "step"))
+    so_far = Window.partitionBy("allele_id").orderBy("at").rowsBetween(Window.unboundedPreceding, 0)
+    listed = steps.select("allele_id", F.sum("step").over(so_far).alias("hap_id"))
+    return listed.unionByName(rows.where("enc = 'bitmap'").select("allele_id", F.explode(B.carriers_of_words(F.col("words"))).alias("hap_id")))
+
+
 def decode(rows: DataFrame) -> DataFrame:
     """(allele_id, hap_id): the exact inverse of :func:`encode`."""
     ids = F.when(F.col("enc") == "list", F.col("carriers")).otherwise(B.carriers_of_words(F.col("words")))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 import uuid
 from collections.abc import Callable
 
@@ -12,6 +13,7 @@ from ..operators import backbone, baselines, codec, cost, diag, incidence, marko
 from ..sources import fixtures as fx
 from ..sources.tables import table
 from ..streaming import streams
+from . import surface
 from .session import cut
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -57,6 +59,17 @@ for _name in ("supplier", "events", "embeddings"):
     _add(f"rows_roundtrip_{_name}", lambda s, d, n=_name: rows.decode(rows.encode(*pairs(s, d, n))))
 
 
+for _name in ("supplier", "customer"):
+    _add(f"varint_roundtrip_{_name}", lambda s, d, n=_name: rows.decode_varint(rows.encode_varint(*pairs(s, d, n))))
+
+
+@query("varint_rows")
+def _(s, d):
+    """Stored bytes, read off the rows themselves."""
+    got = rows.encode_varint(*pairs(s, d, "customer"))
+    return got.select("allele_id", "k", "enc", "bits", F.coalesce(8 * F.length("packed"), F.lit(0)).cast("long").alias("stored"))
+
+
 @query("inc_multiallelic")
 def _(s, d):
     return fx.multiallelic(s, d).select("site_id", F.col("alt_no").cast("long").alias("alt_no"), "hap_id")
@@ -149,9 +162,8 @@ def _(s, d):
     return each.groupBy("class").agg(F.count(F.lit(1)).alias("n_rows"), F.sum("bits").cast("long").alias("bits"))
 
 
-@query("lower_envelope")
-def _(s, d):
-    by_cost, h = costs(s, d, "supplier")
+def _envelope(s, d, name):
+    by_cost, h = costs(s, d, name)
     real, whole = cost.break_even(h)
     mean = lambda c: F.round(F.avg(c), 6)
     return by_cost.groupBy("k").agg(
@@ -160,6 +172,11 @@ def _(s, d):
     )
 
 
+_add("lower_envelope", lambda s, d: _envelope(s, d, "supplier"))
+for _name in ("customer", "customer_unphased", "tokens", "events", "embeddings", "benchmark"):
+    _add(f"lower_envelope_{_name}", lambda s, d, n=_name: _envelope(s, d, n))
+
+
 @query("break_even_sweep")
 def _(s, d):
     from ..functions import bitops
@@ -449,6 +466,12 @@ def _(s, d):
     return walks.verify_dual(inc, walk).agg(F.count(F.lit(1)).alias("violations"))
 
 
+@query("dual_violations_customer")
+def _(s, d):
+    walk, inc, _ = _walk(s, d, "customer")
+    return walks.verify_dual(inc, walk).agg(F.count(F.lit(1)).alias("violations"))
+
+
 @query("walk_to_incidence")
 def _(s, d):
     return walks.to_incidence(_walk(s, d)[0])
@@ -575,11 +598,15 @@ def _index(s, d, name):
     return normalize.node_index(_steps(s, d, name))
 
 
+#: Largest label index that is sent to every task; a larger one is joined by a shuffle, of which frequent labels are split at run time.
+INDEX_ROWS = 500_000
+
+
 def _paths(s, d, name):
     """(path_id, nodes) and the label index."""
     steps = _steps(s, d, name)
-    index = normalize.node_index(steps)
-    own = steps.join(index, "label").groupBy("path_id").agg(F.array_sort(F.collect_list(F.struct("at", "idx"))).alias("s"))
+    index = cut(normalize.node_index(steps))
+    own = steps.join(F.broadcast(index) if index.limit(INDEX_ROWS + 1).count() <= INDEX_ROWS else index, "label").groupBy("path_id").agg(F.array_sort(F.collect_list(F.struct("at", "idx"))).alias("s"))
     return own.select("path_id", F.transform("s", lambda x: x["idx"]).alias("nodes")), index
 
 
@@ -701,6 +728,90 @@ def _(s, d):
     return markov.update(markov.count(paths.where("path_id % 3 <> 0")), markov.count(paths.where("path_id % 3 = 0")))
 
 
+@query("incremental_refit")
+def _(s, d):
+    """A book of two thirds of the paths, refitted by the counts of the rest."""
+    paths = cut(_paths(s, d, "brands")[0])
+    book = cut(codec.fit(paths.where("path_id % 3 <> 0")))
+    return codec.refit(book, cut(markov.count(paths.where("path_id % 3 = 0")))).select("ctx", "sym", "code")
+
+
+@query("incremental_touched")
+def _(s, d):
+    """Codes that few new paths leave as they are, and codes made again."""
+    paths = cut(_paths(s, d, "walk_supplier")[0])
+    book = cut(codec.fit(paths))
+    delta = cut(markov.count(paths.where("path_id = 0")))
+    again = book.join(markov.touched(delta), "ctx", "left_semi").select(F.lit("again").alias("part"), "ctx")
+    kept = book.join(markov.touched(delta), "ctx", "left_anti").select(F.lit("kept").alias("part"), "ctx")
+    return again.unionByName(kept).groupBy("part").agg(F.countDistinct("ctx").alias("contexts"), F.count(F.lit(1)).alias("codes"))
+
+
+def _linear(s, d, name):
+    """Work against size: for growing parts of the paths, the symbols, the steps that are counted and coded, the rows of the model and the bits."""
+    paths, out = cut(_paths(s, d, name)[0]), None
+    for quarter in (1, 2, 3, 4):
+        own = paths.where(F.col("path_id") % 4 < quarter)
+        book = cut(prefix.lengths(markov.weights(markov.count(own))))
+        total = lambda c: F.sum(c).cast("long")
+        one = book.agg(total("n").alias("symbols"), total((F.col("n") > 0).cast("long")).alias("transitions"), F.countDistinct("ctx").alias("contexts"), total(F.col("n") * F.col("len")).alias("payload_bits"))
+        one = own.agg(F.count(F.lit(1)).alias("paths"), total(F.size("nodes")).alias("nodes")).crossJoin(F.broadcast(one)).select(F.lit(quarter).cast("long").alias("quarters"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+for _name in ("events", "brands"):
+    _add(f"cost_linearity_{_name}", lambda s, d, n=_name: _linear(s, d, n))
+
+
+@query("cost_linearity_seconds")
+def _(s, d):
+    """Seconds of counting, fitting and encoding the walks of events, and of their first half of paths, as measured; no SQL can have these."""
+    paths, made = cut(_paths(s, d, "events")[0]), []
+    for part, own in (("half", paths.where("path_id % 2 = 0")), ("all", paths)):
+        began = time.time()
+        symbols = codec.encode(own, cut(codec.fit(own))).agg(F.sum("n_symbols")).first()[0]
+        made.append((part, symbols, time.time() - began))
+    return s.createDataFrame(made, "part string, symbols long, seconds double")
+
+
+# SQL surface --------------------------------------------------------------------------------------
+
+
+@query("sql_rows")
+def _(s, d):
+    """Costs and encodings of carrier rows, all said in SQL."""
+    inc, h = pairs(s, d, "customer")
+    surface.register_functions(s)
+    surface.register_views({"carrier_pairs": inc})
+    return s.sql(
+        f"SELECT allele_id, k, carrier_bits_dense({h}) AS bits_dense, carrier_bits_list(k, {h}) AS bits_list, carrier_bits_hybrid(k, {h}) AS bits_hybrid, carrier_row_encoding(k, {h}) AS enc"
+        " FROM (SELECT allele_id, count(*) AS k FROM carrier_pairs GROUP BY allele_id)"
+    )
+
+
+@query("sql_words")
+def _(s, d):
+    """Set operations on the words of two alleles, all said in SQL."""
+    inc, h = pairs(s, d, "supplier")
+    surface.register_functions(s)
+    surface.register_views({"carrier_words": rows.to_words(inc, h)})
+    return s.sql(
+        f"SELECT o.allele_id, carrier_popcount(o.words) AS k, carrier_contains(o.words, 3L) AS has_3, carrier_popcount(carrier_and(o.words, a.words)) AS both, carrier_popcount(carrier_or(o.words, a.words)) AS any_of,"
+        f" carrier_popcount(carrier_and_not(o.words, a.words)) AS without, array_join(carrier_ids(o.words), ',') AS ids FROM carrier_words o CROSS JOIN (SELECT words FROM carrier_words WHERE allele_id = {A}) a"
+    )
+
+
+@query("sql_trace_decode")
+def _(s, d):
+    """Every decoding step by a table function, joined laterally."""
+    paths = cut(_paths(s, d, "roles")[0])
+    book = cut(codec.fit(paths))
+    surface.register_trace(s, book)
+    surface.register_views({"carrier_walks": codec.encode(paths, book)})
+    return s.sql("SELECT w.path_id, t.step, t.ctx, t.code, t.sym, t.bit_offset, t.status FROM carrier_walks w, LATERAL trace_decode(w.bits, w.n_bits) t")
+
+
 @query("alpha_sweep")
 def _(s, d):
     counts, out = cut(markov.count(_paths(s, d, "events")[0])), None
@@ -770,8 +881,8 @@ def _(s, d):
 # Streams ----------------------------------------------------------------------------------------
 
 
-def _replayed(s, d, make, mode):
-    """The rows of a stream of the event table, after all its files."""
+def _event_files(s, d, change=None):
+    """A folder of the event table as four files in time order, each changed by ``change`` if it is given."""
     cut(s.range(1))
     folder = f"{s.sparkContext.getCheckpointDir()}/stream-{uuid.uuid4().hex}"
     # A replay: the file source takes files by age, so they are written one after another in time order.
@@ -779,33 +890,75 @@ def _replayed(s, d, make, mode):
     bounds = [None, *events.approxQuantile("_at", [0.25, 0.5, 0.75], 0.01), None]
     for lo, hi in zip(bounds, bounds[1:], strict=False):
         part = events if lo is None else events.where(F.col("_at") >= lo)
-        part = part if hi is None else part.where(F.col("_at") < hi)
-        part.drop("_at").coalesce(1).sortWithinPartitions("ts").write.mode("append").parquet(f"{folder}/in")
+        part = (part if hi is None else part.where(F.col("_at") < hi)).drop("_at")
+        (part if change is None else change(part)).coalesce(1).sortWithinPartitions("ts").write.mode("append").parquet(f"{folder}/in")
+    return folder
+
+
+def _appended(s, folder, make):
+    """The rows that a stream of the event files has given in the end, and its run."""
     stream = make(streams.replay(s, f"{folder}/in"))
-    if mode == "append":
-        run = stream.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/log").outputMode("append").trigger(availableNow=True).start()
-        run.awaitTermination()
-        return s.read.schema(stream.schema).parquet(f"{folder}/out")
-    name = f"stream_{uuid.uuid4().hex}"
-    run = stream.writeStream.format("memory").queryName(name).option("checkpointLocation", f"{folder}/log").outputMode("complete").trigger(availableNow=True).start()
+    run = stream.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/log").outputMode("append").trigger(availableNow=True).start()
     run.awaitTermination()
-    return s.table(name)
+    return s.read.schema(stream.schema).parquet(f"{folder}/out"), run
+
+
+def _sessions(s, d):
+    """All sessions: those that the watermark closes, and the last ones, closed by an event long after all others, which is left out again."""
+    folder = _event_files(s, d)
+    end = table(s, d, "events").agg(F.max("ts").alias("ts")).select(F.lit(-1).cast("long").alias("event_id"), (F.col("ts") + F.expr("INTERVAL 30 DAYS")).alias("ts"), F.lit(-1).cast("long").alias("user_id"), F.lit("end").alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
+    end.coalesce(1).write.mode("append").parquet(f"{folder}/in")
+    return _appended(s, folder, streams.session_walks)[0].where("user_id >= 0")
 
 
 @query("stream_transitions")
 def _(s, d):
-    return _replayed(s, d, streams.transitions, "append").groupBy("ctx", "sym").agg(F.sum("n").cast("long").alias("n"))
+    return _appended(s, _event_files(s, d), streams.transitions)[0].groupBy("ctx", "sym").agg(F.sum("n").cast("long").alias("n"))
 
 
-@query("stream_window_carriers")
-def _(s, d):
-    return _replayed(s, d, streams.window_carriers, "complete").select(F.unix_timestamp("start").alias("start"), "allele_id", "k")
+def _windowed(s, d, slide=None, width="1 day"):
+    users = _appended(s, _event_files(s, d), lambda x: streams.window_users(x, width, slide))[0]
+    return streams.counted(users).select(F.unix_timestamp("start").alias("start"), "allele_id", "k")
+
+
+_add("stream_window_carriers", lambda s, d: _windowed(s, d))
+_add("stream_sliding_carriers", lambda s, d: _windowed(s, d, "1 day", "7 days"))
 
 
 @query("stream_session_walks")
 def _(s, d):
-    out = _replayed(s, d, streams.session_walks, "complete")
-    return out.select("user_id", F.unix_timestamp("start").alias("start"), F.size("labels").cast("long").alias("n"), F.array_join("labels", ",").alias("labels"))
+    return _sessions(s, d).select("user_id", F.unix_timestamp("start").alias("start"), F.size("labels").cast("long").alias("n"), F.array_join("labels", ",").alias("labels"))
+
+
+@query("stream_session_codes")
+def _(s, d):
+    """Closed sessions with their end symbol, coded by the book of the users' whole walks; transitions that it lacks by the escape and the node's number."""
+    paths, index = _paths(s, d, "events")
+    index = cut(index)
+    book = cut(codec.fit(cut(paths), escape="literal"))
+    width = max(1, (index.count() - 1).bit_length())
+    coded = codec.encode(streams.ended(_sessions(s, d), index), book, escape="literal", width=width)
+    return coded.select("path_id.user_id", F.unix_timestamp("path_id.start").alias("start"), "n_symbols", "n_bits", "status")
+
+
+@query("stream_deduplicated")
+def _(s, d):
+    """Events that come twice in a file count once."""
+    folder = _event_files(s, d, lambda part: part.unionByName(part))
+    return _appended(s, folder, streams.deduplicated)[0].groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("stream_late_rows")
+def _(s, d):
+    """The events of the first day come again after all others, under new ids: they are dropped, and counted."""
+    folder = _event_files(s, d)
+    events = table(s, d, "events")
+    first = events.agg(F.min("ts").alias("_first"))
+    late = events.crossJoin(F.broadcast(first)).where(F.col("ts") < F.col("_first") + F.expr("INTERVAL 1 DAY")).drop("_first").withColumn("event_id", -1 - F.col("event_id"))
+    late.coalesce(1).write.mode("append").parquet(f"{folder}/in")
+    out, run = _appended(s, folder, streams.deduplicated)
+    dropped = streams.late_rows(run)
+    return out.agg(F.count(F.lit(1)).alias("kept")).select("kept", F.lit(dropped).cast("long").alias("dropped"))
 
 
 def queries() -> dict[str, Query]:

@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.query import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators import markov
@@ -39,11 +40,20 @@ def transitions(stream: DataFrame) -> DataFrame:
     return own.groupBy("user_id").applyInPandasWithState(step, "user_id long, ctx string, sym string, n long", "last string", "append", GroupStateTimeout.NoTimeout)
 
 
-def window_carriers(stream: DataFrame, width: str = "1 day", slide: str | None = None) -> DataFrame:
-    """(start, allele, k): distinct carriers of each allele in tumbling or sliding windows."""
+def window_users(stream: DataFrame, width: str = "1 day", slide: str | None = None) -> DataFrame:
+    """(w, allele_id, user_id), each once, in tumbling or sliding windows: the state is one row per carrier, dealt by all three, so a frequent allele fills no single row."""
     allele = F.concat("event_type", F.lit(":"), F.get_json_object("props", "$.k"))
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
-    return stream.groupBy(w.alias("w"), allele.alias("allele_id")).agg(F.size(F.collect_set("user_id")).cast("long").alias("k")).select(F.col("w.start").alias("start"), "allele_id", "k")
+    return stream.select(w.alias("w"), allele.alias("allele_id"), "user_id").dropDuplicates(["w", "allele_id", "user_id"])
+
+
+def window_carriers(stream: DataFrame, width: str = "1 day", slide: str | None = None) -> DataFrame:
+    """(start, allele_id, k): distinct carriers of each allele in tumbling or sliding windows; a stream gives a window when it is past the watermark."""
+    return counted(window_users(stream, width, slide))
+
+
+def counted(users: DataFrame) -> DataFrame:
+    return users.groupBy("w", "allele_id").agg(F.count(F.lit(1)).alias("k")).select(F.col("w.start").alias("start"), "allele_id", "k")
 
 
 def session_walks(stream: DataFrame, gap: str = "1 hour") -> DataFrame:
@@ -52,6 +62,18 @@ def session_walks(stream: DataFrame, gap: str = "1 hour") -> DataFrame:
     return own.select("user_id", F.col("s.start").alias("start"), F.transform("x", lambda e: e["event_type"]).alias("labels"))
 
 
+def ended(walks: DataFrame, index: DataFrame) -> DataFrame:
+    """(path_id, user_id, start, nodes) of closed sessions, of a micro-batch, by a label index; a label that the index lacks becomes node -4, which no code has. The coder ends each walk by the end symbol."""
+    each = walks.select(F.struct("user_id", "start").alias("path_id"), F.posexplode("labels").alias("at", "label")).join(index, "label", "left")
+    own = each.groupBy("path_id").agg(F.array_sort(F.collect_list(F.struct("at", F.coalesce("idx", F.lit(-4).cast("long")).alias("idx")))).alias("s"))
+    return own.select("path_id", F.transform("s", lambda x: x["idx"]).alias("nodes"))
+
+
+def late_rows(run: StreamingQuery) -> int:
+    """Rows that the operators of a finished run dropped because they were behind the watermark, over the progress that the session keeps (100 batches unless set otherwise)."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in run.recentProgress for op in p["stateOperators"])
+
+
 def deduplicated(stream: DataFrame) -> DataFrame:
     return stream.dropDuplicatesWithinWatermark(["event_id"])
 

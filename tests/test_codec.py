@@ -128,3 +128,12 @@ def test_blocks_decode_with_the_codes_of_their_contexts_alone(spark, monkeypatch
     assert got == want
     monkeypatch.setattr(codec, "ENCODER_ROWS", 0)  # the same bits when the codes are joined by a shuffle
     assert {tuple(r) for r in codec.encode_blocks(paths, book, 8).collect()} == {tuple(r) for r in blocks.collect()}
+
+
+def test_refit_equals_a_new_fit(spark):
+    paths = spark.createDataFrame([(1, [0, 1, 2]), (2, [0, 1, 1]), (3, [3]), (4, [0, 2, 4])], "path_id long, nodes array<long>")
+    book = codec.fit(paths.where("path_id < 4"))
+    got = codec.refit(book, markov.count(paths.where("path_id = 4")))
+    key = lambda b: sorted((r["ctx"], r["sym"], r["n"], r["code"]) for r in b.collect())
+    assert key(got) == key(codec.fit(paths))
+    assert key(codec.refit(book, markov.count(paths.limit(0)))) == key(book)

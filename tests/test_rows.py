@@ -92,3 +92,18 @@ def test_no_python_and_no_cartesian_in_column_methods(spark):
     inc = rel(spark, {1: [1], 2: [0, 5]})
     plan = cost.by_class(cost.per_row(incidence.counts(inc, by=("class",)), 8))._jdf.queryExecution().toString()
     assert "Python" not in plan and "Cartesian" not in plan
+
+
+def test_varint_rows_round_trip(spark):
+    rng = random.Random(3)
+    h = 5_000_000
+    want = {(a, x, "SNV") for a, n in (("one", 1), ("few", 7), ("many", 3000)) for x in rng.sample(range(h), n)} | {("edge", x, "SNV") for x in (0, 127, 128, 255, 16_511, h - 1)}
+    inc = spark.createDataFrame(sorted(want) + sorted(want)[:50], "allele_id string, hap_id long, class string")
+    got = rows.encode_varint(inc, h)
+    assert {r["enc"] for r in got.collect()} == {"list"}
+    assert sorted(tuple(r) for r in rows.decode_varint(got).collect()) == sorted((a, x) for a, x, _ in want)
+    few = spark.createDataFrame([("a", x, "SNV") for x in range(0, 64, 2)] + [("b", 63, "SNV")], "allele_id string, hap_id long, class string")
+    both = rows.encode_varint(few, 64)
+    assert {r["allele_id"]: r["enc"] for r in both.collect()} == {"a": "bitmap", "b": "list"}
+    assert rows.decode_varint(both).count() == 33
+    assert rows.encode_varint(few.limit(0), 64).count() == 0
