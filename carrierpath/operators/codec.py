@@ -122,7 +122,7 @@ class Decoder:
         yield ctx, "", "runaway", at
 
 
-def broadcast_codes(codebook: DataFrame, escape: str = "off", width: int = 0):
+def _decoder(codebook: DataFrame, escape: str = "off", width: int = 0):
     """The codebook, of a checked size, as a broadcast decoder."""
     if codebook.limit(BROADCAST_ROWS + 1).count() > BROADCAST_ROWS:
         raise ValueError(f"codebook above {BROADCAST_ROWS} rows: decode blocks with decode_blocks_joined")
@@ -134,7 +134,7 @@ def broadcast_codes(codebook: DataFrame, escape: str = "off", width: int = 0):
 
 
 def _run(encoded: DataFrame, codebook: DataFrame, schema: str, make, escape: str = "off", width: int = 0) -> DataFrame:
-    sent = broadcast_codes(codebook, escape, width)
+    sent = _decoder(codebook, escape, width)
     names = [f.strip().split(" ")[0] for f in schema.split(",")]
     kinds = {"long": pa.int64(), "int": pa.int32(), "string": pa.string()}
     types = [kinds[f.strip().split(" ")[1]] for f in schema.split(",")]

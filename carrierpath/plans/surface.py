@@ -43,7 +43,7 @@ def register_views(views: dict[str, DataFrame]) -> None:
 
 def register_trace(spark: SparkSession, codebook: DataFrame, name: str = "trace_decode") -> None:
     """The table function ``name(bits, n_bits)`` -> (step, ctx, code, sym, bit_offset, status) of one codebook, of a checked size, sent to the executors once."""
-    sent = codec.broadcast_codes(codebook)
+    sent = codec._decoder(codebook)
 
     class Trace:
         def __init__(self):
