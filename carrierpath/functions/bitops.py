@@ -67,18 +67,27 @@ def contains_hap(words: Column, hap: Column) -> Column:
     return bit(F.get(words, F.floor(hap / WORD).cast("int")), hap % WORD) == 1
 
 
+def bit_of(hap: Column) -> Column:
+    """The word of 64 bits in which only the bit of ``hap`` is set."""
+    return F.call_function("shiftleft", F.lit(1).cast("long"), (hap % WORD).cast("int"))
+
+
+def carriers_of_held(held: Column) -> Column:
+    """Ascending ids of sorted (word_no, word) of the non-empty words."""
+    places = lambda x: F.filter(F.sequence(F.lit(0), F.lit(WORD - 1)), lambda b: bit(x["word"], b) == 1)
+    return F.flatten(F.transform(held, lambda x: F.transform(places(x), lambda b: x["word_no"] * WORD + b)))
+
+
+def words_of_held(held: Column, n: int) -> Column:
+    """All n words of (word_no, word) of the non-empty words."""
+    at = F.map_from_entries(held)
+    return F.transform(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")), lambda i: F.coalesce(F.element_at(at, i), F.lit(0).cast("long")))
+
+
 def carriers_of_words(words: Column) -> Column:
     """Ascending ids of the set bits; empty words cost nothing."""
-    numbered = F.transform(words, lambda w, i: F.struct(i.cast("long").alias("i"), w.alias("w")))
-    full = F.filter(numbered, lambda x: x["w"] != 0)
-    return F.flatten(
-        F.transform(
-            full,
-            lambda x: F.transform(
-                F.filter(F.sequence(F.lit(0), F.lit(WORD - 1)), lambda b: bit(x["w"], b) == 1), lambda b: x["i"] * WORD + b
-            ),
-        )
-    )
+    numbered = F.transform(words, lambda w, i: F.struct(i.cast("long").alias("word_no"), w.alias("word")))
+    return carriers_of_held(F.filter(numbered, lambda x: x["word"] != 0))
 
 
 def words_touched(k: Column, enc: Column, h: int) -> Column:

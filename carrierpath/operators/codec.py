@@ -252,7 +252,12 @@ def verify(paths: DataFrame, encoded: DataFrame, codebook: DataFrame) -> DataFra
 
 
 def fit(paths: DataFrame, alpha: float = 1.0, force_stop: bool = True, escape: str = "off", cache: str = "profile", single_symbol: str = "empty") -> DataFrame:
-    return prefix.codebooks(markov.weights(markov.count(paths), alpha, force_stop, escape), cache, single_symbol)
+    return fit_counts(markov.count(paths), alpha, force_stop, escape, cache, single_symbol)
+
+
+def fit_counts(counts: DataFrame, alpha: float = 1.0, force_stop: bool = True, escape: str = "off", cache: str = "profile", single_symbol: str = "empty") -> DataFrame:
+    """The codebook of transitions (ctx, sym, n) that are counted already."""
+    return prefix.codebooks(markov.weights(counts, alpha, force_stop, escape), cache, single_symbol)
 
 
 def refit(codebook: DataFrame, delta: DataFrame, alpha: float = 1.0, force_stop: bool = True, escape: str = "off", cache: str = "profile", single_symbol: str = "empty") -> DataFrame:

@@ -66,8 +66,10 @@ def full_alphabet(codebook: DataFrame, alpha: float = 1.0) -> DataFrame:
 
 def fit_size(codebook: DataFrame) -> DataFrame:
     """One row: symbols, contexts, distinct transitions and signatures, and the share of contexts that reuse a code."""
-    c, s = F.countDistinct("ctx"), F.countDistinct("sig")
-    return codebook.agg(F.sum("n").cast("long").alias("symbols"), c.alias("contexts"), F.sum((F.col("n") > 0).cast("long")).alias("transitions"), s.alias("signatures"), F.round(1 - s / c, 6).alias("reused"))
+    per = codebook.groupBy("ctx").agg(F.sum("n").alias("n"), F.sum((F.col("n") > 0).cast("long")).alias("seen"), F.min("sig").alias("sig"))  # a context has one code
+    by_sig = per.groupBy("sig").agg(F.sum("n").alias("n"), F.sum("seen").alias("seen"), F.count(F.lit(1)).alias("c"))
+    total, c, s = (lambda x: F.sum(x).cast("long")), F.sum("c"), F.count("sig")
+    return by_sig.agg(total("n").alias("symbols"), c.alias("contexts"), total("seen").alias("transitions"), s.alias("signatures"), F.round(1 - s / c, 6).alias("reused"))
 
 
 __all__ = ["comparison", "contexts", "fit_size", "full_alphabet", "global_", "markov"]

@@ -21,6 +21,29 @@ def count(paths: DataFrame) -> DataFrame:
     return transitions(paths).groupBy("ctx", "sym").agg(F.count(F.lit(1)).alias("n"))
 
 
+def count_labels(walks: DataFrame) -> DataFrame:
+    """(src, dst, n) of (path_id, labels): transitions counted before their labels have numbers; src is null at the start, dst at the end.
+
+    Paths without a label have no transitions.
+    """
+    end = F.array(F.lit(None).cast("string"))
+    steps = F.arrays_zip(F.concat(end, "labels").alias("src"), F.concat("labels", end).alias("dst"))
+    each = walks.where(F.size("labels") > 0).select(F.explode(steps).alias("t"))
+    return each.select(F.col("t").getField("src").alias("src"), F.col("t").getField("dst").alias("dst")).groupBy("src", "dst").agg(F.count(F.lit(1)).alias("n"))
+
+
+def number(counted: DataFrame, index: DataFrame) -> DataFrame:
+    """(ctx, sym, n) of counted labels (src, dst, n) and their index (label, idx).
+
+    A row of each distinct transition is joined, not one of each step; ends have fixed numbers and are not joined, as no other row is as frequent.
+    """
+    src, dst = (index.select(F.col("label").alias(x), F.col("idx").alias(y)) for x, y in (("src", "ctx"), ("dst", "sym")))
+    begun = counted.where("src is null").withColumn("ctx", F.lit(START).cast("long")).drop("src")
+    by_ctx = begun.unionByName(counted.where("src is not null").join(src, "src").drop("src"))
+    ended = by_ctx.where("dst is null").withColumn("sym", F.lit(STOP).cast("long")).drop("dst")
+    return ended.unionByName(by_ctx.where("dst is not null").join(dst, "dst").drop("dst")).select("ctx", "sym", "n")
+
+
 def update(counts: DataFrame, delta: DataFrame) -> DataFrame:
     return counts.select("ctx", "sym", "n").unionByName(delta.select("ctx", "sym", "n")).groupBy("ctx", "sym").agg(F.sum("n").cast("long").alias("n"))
 

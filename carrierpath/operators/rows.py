@@ -1,7 +1,7 @@
 """Carrier rows: one row per allele, each as a bitmap or an id list, whichever costs less.
 
-Counts come first; then only rows that the list wins collect ids, so no list exceeds the
-crossover, and only rows that the bitmap wins build words of 64 bits by ``bit_or``.
+Pairs are combined to words of 64 bits by ``bit_or`` before they are shuffled; the count of a row's bits
+then tells its form, and only that form is built, so no list exceeds the crossover.
 """
 
 from __future__ import annotations
@@ -15,16 +15,14 @@ from . import cost
 
 def long_words(inc: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
     """(allele_id, word_no, word) of the non-empty words."""
-    place = (F.col("hap_id") % B.WORD).cast("int")
-    value = F.call_function("shiftleft", F.lit(1).cast("long"), place)
-    return inc.groupBy("allele_id", *keep, F.floor(F.col("hap_id") / B.WORD).cast("long").alias("word_no")).agg(F.bit_or(value).alias("word"))
+    return inc.groupBy("allele_id", *keep, F.floor(F.col("hap_id") / B.WORD).cast("long").alias("word_no")).agg(F.bit_or(B.bit_of(F.col("hap_id"))).alias("word"))
 
 
 def to_words(inc: DataFrame, h: int) -> DataFrame:
     """(allele_id, words) with all ceil(h / 64) words."""
     n = -(-h // B.WORD)
-    got = long_words(inc).groupBy("allele_id").agg(F.map_from_entries(F.collect_list(F.struct("word_no", "word"))).alias("m"))
-    return got.select("allele_id", F.transform(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")), lambda i: F.coalesce(F.element_at("m", i), F.lit(0).cast("long"))).alias("words"))
+    got = long_words(inc).groupBy("allele_id").agg(F.array_sort(F.collect_list(F.struct("word_no", "word"))).alias("_held"))
+    return got.select("allele_id", B.words_of_held(F.col("_held"), n).alias("words"))
 
 
 def to_chunks(inc: DataFrame) -> DataFrame:
@@ -38,14 +36,21 @@ def to_lists(inc: DataFrame) -> DataFrame:
 
 
 def encode(inc: DataFrame, h: int, policy: str = "min_cost", overhead_bits: int = 0) -> DataFrame:
-    """(allele_id, class, k, enc, carriers, words, bits) of pairs (allele_id, hap_id, class); the unused branch is null."""
-    pairs = inc.select("allele_id", "hap_id", "class").dropDuplicates(["allele_id", "hap_id"])
-    costs = cost.per_row(pairs.groupBy("allele_id").agg(F.first("class").alias("class"), F.count(F.lit(1)).alias("k")), h, policy, overhead_bits)
-    costs = costs.select("allele_id", "class", "k", "enc", F.col("bits_hybrid").alias("bits"))
-    chosen = pairs.select("allele_id", "hap_id").join(costs.select("allele_id", "enc"), "allele_id")
-    lists = to_lists(chosen.where("enc = 'list'")).withColumn("words", F.lit(None).cast("array<long>"))
-    dense = to_words(chosen.where("enc = 'bitmap'"), h).select("allele_id", F.lit(None).cast("array<long>").alias("carriers"), "words")
-    return costs.join(lists.unionByName(dense), "allele_id").select("allele_id", "class", "k", "enc", "carriers", "words", "bits")
+    """(allele_id, class, k, enc, carriers, words, bits) of pairs (allele_id, hap_id, class); the unused branch is null.
+
+    Pairs become words of 64 bits before the first shuffle, which also takes repeated pairs together; the second one brings
+    a row's words together, at most h / 64 of them. Counts, lists and bitmaps all come from these, so pairs are read once.
+    """
+    held = inc.groupBy("allele_id", F.floor(F.col("hap_id") / B.WORD).cast("long").alias("word_no"))
+    held = held.agg(F.bit_or(B.bit_of(F.col("hap_id"))).alias("word"), F.min("class").alias("class"))
+    own = held.groupBy("allele_id").agg(
+        F.min("class").alias("class"), F.coalesce(F.sum(F.bit_count("word")), F.lit(0)).cast("long").alias("k"), F.array_sort(F.collect_list(F.struct("word_no", "word"))).alias("_held")
+    )
+    priced = cost.per_row(own, h, policy, overhead_bits)
+    return priced.select(
+        "allele_id", "class", "k", "enc", F.when(F.col("enc") == "list", B.carriers_of_held(F.col("_held"))).alias("carriers"),
+        F.when(F.col("enc") == "bitmap", B.words_of_held(F.col("_held"), -(-h // B.WORD))).alias("words"), F.col("bits_hybrid").alias("bits"),
+    )
 
 
 def encode_varint(inc: DataFrame, h: int) -> DataFrame:

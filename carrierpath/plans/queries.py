@@ -432,14 +432,17 @@ def _(s, d):
 # Walks ----------------------------------------------------------------------------------------
 
 
+def _walk_inc(s, d, name):
+    """Structural variants and their carriers, as ids of the catalogue."""
+    inc, h = pairs(s, d, name)
+    inc = inc.where("class = 'SV'")
+    own = F.col("allele_id") if name == "supplier" else F.substring("allele_id", 3, 20).try_cast("long").alias("allele_id")
+    return inc.select(own, "hap_id"), h
+
+
 def _walk(s, d, name="supplier"):
     segs, alleles = _graph(s, d)
-    if name == "supplier":
-        inc, h = pairs(s, d, "supplier")
-        inc = inc.where("class = 'SV'").select("allele_id", "hap_id")
-    else:
-        inc, h = pairs(s, d, "customer")
-        inc = inc.where("class = 'SV'").select(F.substring("allele_id", 3, 20).try_cast("long").alias("allele_id"), "hap_id")
+    inc, h = _walk_inc(s, d, name)
     return walks.build(segs, alleles, inc, s.range(h).select(F.col("id").alias("hap_id"))), inc, h
 
 
@@ -575,10 +578,14 @@ def _(s, d):
 # Paths and the coder ----------------------------------------------------------------------------
 
 
+def _alternatives(segs, alleles):
+    """(allele_id, name): alternatives named by the first segment that they replace."""
+    return backbone.bubbles(segs, alleles).select("allele_id", F.concat(F.lit("A"), F.col("first_seg").cast("string")).alias("name"))
+
+
 def _walk_labels(s, d, name):
     walk, _, _ = _walk(s, d, name)
-    segs, alleles = _graph(s, d)
-    first = backbone.bubbles(segs, alleles).select("allele_id", F.concat(F.lit("A"), F.col("first_seg").cast("string")).alias("alt"))
+    first = _alternatives(*_graph(s, d)).withColumnRenamed("name", "alt")
     return walk.join(first, "allele_id", "left").select("path_id", F.struct("at").alias("at"), F.coalesce("alt", "node").alias("label"))
 
 
@@ -610,8 +617,30 @@ def _paths(s, d, name):
     return own.select("path_id", F.transform("s", lambda x: x["idx"]).alias("nodes")), index
 
 
+def _walk_counts(s, d, name):
+    segs, alleles = (cut(x) for x in _graph(s, d))
+    inc, h = _walk_inc(s, d, name)
+    return walks.step_counts(segs, alleles, inc, h, _alternatives(segs, alleles))
+
+
+#: Path fixtures whose paths are whole in a row, or whose steps are counted without any path.
+IN_ROW: dict[str, Query] = {"words": fx.word_arrays, "words_short": lambda s, d: fx.word_arrays(s, d, 400), "tags": fx.tag_arrays}
+COUNTED: dict[str, Query] = {f"walk_{n}": lambda s, d, n=n: _walk_counts(s, d, n) for n in ("supplier", "customer")}
+
+
+def _counts(s, d, name):
+    """(ctx, sym, n): transitions are counted by their labels and numbered after, so no step is joined with the index."""
+    if name in COUNTED:
+        counted = COUNTED[name](s, d)
+    else:
+        counted = markov.count_labels(IN_ROW[name](s, d) if name in IN_ROW else fx.arrays(_steps(s, d, name)))
+    counted = cut(counted)
+    index = cut(normalize.node_index(counted.where("dst is not null").select(F.col("dst").alias("label"))))
+    return markov.number(counted, F.broadcast(index) if index.limit(INDEX_ROWS + 1).count() <= INDEX_ROWS else index)
+
+
 def _book(s, d, name, alpha=1.0, force_stop=True, escape="off", cache="profile", single="empty"):
-    return codec.fit(_paths(s, d, name)[0], alpha, force_stop, escape, cache, single)
+    return codec.fit_counts(_counts(s, d, name), alpha, force_stop, escape, cache, single)
 
 
 _add("node_index", lambda s, d: _index(s, d, "walk_supplier"))
@@ -620,7 +649,7 @@ _add("node_index_words", lambda s, d: _index(s, d, "words"))
 
 @query("adjacency")
 def _(s, d):
-    counts = markov.count(_paths(s, d, "walk_supplier")[0]).where("ctx >= 0 and sym >= 0")
+    counts = _counts(s, d, "walk_supplier").where("ctx >= 0 and sym >= 0")
     return normalize.adjacency(counts.select(F.col("ctx").alias("src"), F.col("sym").alias("dst"))).select("src", F.array_join(F.transform("dsts", lambda x: x.cast("string")), ",").alias("dsts"))
 
 
@@ -639,12 +668,12 @@ def _(s, d):
 
 
 for _name in ("events", "roles", "brands", "walk_supplier", "walk_customer", "words", "tags"):
-    _add(f"transitions_{_name}", lambda s, d, n=_name: markov.count(_paths(s, d, n)[0]))
+    _add(f"transitions_{_name}", lambda s, d, n=_name: _counts(s, d, n))
 for _alpha in (0, 1, 10):
-    _add(f"weights_alpha{_alpha}", lambda s, d, a=_alpha: markov.weights(markov.count(_paths(s, d, "events")[0]), a, force_stop=False))
-_add("weights_force_stop", lambda s, d: markov.weights(markov.count(_paths(s, d, "walk_supplier")[0])))
-_add("weights_escape", lambda s, d: markov.weights(markov.count(_paths(s, d, "events")[0]), escape="reserved"))
-_add("weights_stop_twice", lambda s, d: markov.weights(markov.count(_paths(s, d, "roles")[0]), stop_smoothing="double"))
+    _add(f"weights_alpha{_alpha}", lambda s, d, a=_alpha: markov.weights(_counts(s, d, "events"), a, force_stop=False))
+_add("weights_force_stop", lambda s, d: markov.weights(_counts(s, d, "walk_supplier")))
+_add("weights_escape", lambda s, d: markov.weights(_counts(s, d, "events"), escape="reserved"))
+_add("weights_stop_twice", lambda s, d: markov.weights(_counts(s, d, "roles"), stop_smoothing="double"))
 for _name in CODED:
     _add(f"code_lengths_{_name}", lambda s, d, n=_name: _book(s, d, n).select("ctx", "sym", F.col("len").cast("long").alias("len")))
     _add(f"context_diagnostics_{_name}", lambda s, d, n=_name: diag.contexts(_book(s, d, n)).select("ctx", "events", "alphabet", *(F.round(c, 6).alias(c) for c in ("h", "l", "gap"))))
@@ -814,7 +843,7 @@ def _(s, d):
 
 @query("alpha_sweep")
 def _(s, d):
-    counts, out = cut(markov.count(_paths(s, d, "events")[0])), None
+    counts, out = cut(_counts(s, d, "events")), None
     for alpha in (0.0, 0.5, 1.0, 10.0):
         for stop in (False, True):
             one = diag.global_(cut(prefix.lengths(markov.weights(counts, alpha, stop)))).select(F.lit(alpha).alias("alpha"), F.lit(stop).alias("force_stop"), "h_global", "l_global", "realized")
@@ -836,7 +865,7 @@ for _suffix, _name in (("", "words_short"), ("_words", "words")):
 
 @query("signature_modes")
 def _(s, d):
-    counts, out = cut(markov.count(_paths(s, d, "brands")[0])), None
+    counts, out = cut(_counts(s, d, "brands")), None
     for mode in ("profile", "counts", "support", "off"):
         book = cut(prefix.lengths(markov.weights(counts), mode))
         one = diag.global_(book).select(F.lit(mode).alias("mode"), "h_global", "l_global", "realized", "bound_violations").crossJoin(diag.fit_size(book).select("signatures", "reused"))
@@ -846,7 +875,7 @@ def _(s, d):
 
 @query("single_symbol_modes")
 def _(s, d):
-    counts, out = cut(markov.count(_paths(s, d, "walk_supplier")[0])), None
+    counts, out = cut(_counts(s, d, "walk_supplier")), None
     for mode in ("empty", "one_bit"):
         one = diag.global_(cut(prefix.lengths(markov.weights(counts, 0.0, False), single_symbol=mode))).select(F.lit(mode).alias("mode"), "h_global", "l_global", "realized")
         out = one if out is None else out.unionByName(one)

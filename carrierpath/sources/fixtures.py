@@ -119,15 +119,28 @@ def brand_paths(spark, d):
     return lines.join(parts, "l_partkey").select(F.col("l_orderkey").alias("path_id"), F.struct("l_linenumber", "l_partkey").alias("at"), "label")
 
 
-def word_paths(spark, d, longest: int | None = None):
+def word_arrays(spark, d, longest: int | None = None):
+    """(path_id, labels) of documents: a path stays in its row."""
     docs = table(spark, d, "documents")
     if longest is not None:
         docs = docs.where(F.col("n_chars") <= longest)
-    return docs.select(F.col("doc_id").alias("path_id"), F.posexplode(F.filter(F.split("text", " "), lambda x: x != "")).alias("at", "label")).select("path_id", F.struct("at").alias("at"), "label")
+    return docs.select(F.col("doc_id").alias("path_id"), F.filter(F.split("text", " "), lambda x: x != "").alias("labels"))
+
+
+def tag_arrays(spark, d):
+    return table(spark, d, "pages").select(F.col("page_id").alias("path_id"), F.regexp_extract_all("html", F.lit("<[a-z][a-z0-9]*"), 0).alias("labels"))
+
+
+def _steps(walks: DataFrame) -> DataFrame:
+    return walks.select("path_id", F.posexplode("labels").alias("at", "label")).select("path_id", F.struct("at").alias("at"), "label")
+
+
+def word_paths(spark, d, longest: int | None = None):
+    return _steps(word_arrays(spark, d, longest))
 
 
 def tag_paths(spark, d):
-    return table(spark, d, "pages").select(F.col("page_id").alias("path_id"), F.posexplode(F.regexp_extract_all("html", F.lit("<[a-z][a-z0-9]*"), 0)).alias("at", "label")).select("path_id", F.struct("at").alias("at"), "label")
+    return _steps(tag_arrays(spark, d))
 
 
 def arrays(steps: DataFrame) -> DataFrame:

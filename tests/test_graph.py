@@ -1,6 +1,10 @@
+import random
+from collections import Counter
+
 from pyspark.sql import functions as F
 
 from carrierpath.operators import backbone, walks
+from carrierpath.plans.session import cut
 
 
 def catalogue(spark, rows):
@@ -72,3 +76,22 @@ def test_variant_beyond_the_region(spark):
     inc = spark.createDataFrame([(1, 0)], "allele_id long, hap_id long")
     walk = walks.build(backbone.segments(alleles, 0, 10_000), alleles, inc, spark.range(1).select(F.col("id").alias("hap_id")))
     assert [r["node"] for r in walks.path_of(walk, [0]).orderBy("seq").collect()] == ["R0", "A1"]
+
+
+def test_step_counts_equal_those_of_the_walks(spark):
+    """Overlaps, insertions, variants beyond the region, two at one place, whole contigs replaced, several contigs."""
+    r = random.Random(7)
+    for case in range(4):
+        contigs = ["c1", "c2"][: 1 + case % 2]
+        rows = [(r.choice(contigs), i, r.choice([-50, 0, 100, 200, 300, 300, 400, 950, 1000, 1200]), r.choice([0, 0, 50, 100, 250, 1000]), "SV") for i in range(8)]
+        rows += [(c, 90 + i, 10 * i, 1, "SNV") for i, c in enumerate(contigs)]
+        alleles = catalogue(spark, rows).coalesce(1)
+        inc = spark.createDataFrame([(a, h) for a in range(8) for h in range(9) if r.random() < 0.3] + [(0, 0), (0, 0)], "allele_id long, hap_id long").coalesce(1)
+        segs = cut(backbone.segments(alleles, 0, 1000))
+        walk = walks.build(segs, alleles, inc, spark.range(9).select(F.col("id").alias("hap_id")))
+        labels = walk.groupBy("path_id").agg(F.array_sort(F.collect_list(F.struct("contig", "at", "node"))).alias("s")).select("path_id", F.col("s.node").alias("labels"))
+        want = Counter()
+        for row in labels.collect():
+            want.update(zip([None, *row["labels"]], [*row["labels"], None], strict=True))
+        got = {(x["src"], x["dst"]): x["n"] for x in walks.step_counts(segs, alleles, inc, 9).collect()}
+        assert got == dict(want)
