@@ -306,6 +306,35 @@ class Field:
         return labels[::-1]
 
 
+def loss(theta: np.ndarray, x: np.ndarray, on: np.ndarray, gold: np.ndarray) -> tuple[float, np.ndarray]:
+    """Mean negative log-likelihood of sequences and its gradient, by the forward and backward sums.
+
+    ``x`` (sequence, place, feature) is 0 or 1, ``on`` tells which places a sequence has, and ``gold`` holds the sums of
+    features, transitions, first and last labels under the given labels, in the order of ``theta``.
+    """
+    n, longest, width = x.shape
+    w, moves, start, end = np.split(theta, np.cumsum([width, 4, 2]))
+    moves = moves.reshape(2, 2)
+    last, every = on.sum(1) - 1, np.arange(n)
+    score = np.zeros((n, longest, 2))
+    score[:, :, 1] = x @ w.astype(np.float32)
+    ahead, behind = np.zeros_like(score), np.zeros_like(score)
+    ahead[:, 0] = score[:, 0] + start
+    for j in range(1, longest):
+        new = np.logaddexp(ahead[:, j - 1, :1] + moves[0], ahead[:, j - 1, 1:] + moves[1]) + score[:, j]
+        ahead[:, j] = np.where(on[:, j, None], new, ahead[:, j - 1])
+    behind[:] = end
+    for j in range(longest - 2, -1, -1):
+        nxt = score[:, j + 1] + behind[:, j + 1]
+        new = np.stack([np.logaddexp(moves[a, 0] + nxt[:, 0], moves[a, 1] + nxt[:, 1]) for a in (0, 1)], 1)
+        behind[:, j] = np.where(on[:, j + 1, None], new, end)
+    total = np.logaddexp(ahead[every, last, 0] + end[0], ahead[every, last, 1] + end[1])
+    prob = np.exp(ahead + behind - total[:, None, None]) * on[:, :, None]
+    pair = np.exp(ahead[:, :-1, :, None] + moves + (score[:, 1:] + behind[:, 1:])[:, :, None, :] - total[:, None, None, None]) * on[:, 1:, None, None]
+    expected = np.concatenate([np.einsum("ijf,ij->f", x, prob[:, :, 1]), pair.sum((0, 1)).ravel(), prob[:, 0].sum(0), prob[every, last].sum(0)])
+    return float(total.sum() - gold @ theta) / n, (expected - gold) / n
+
+
 def train(pages, steps: int = 250, rate: float = 0.1, ridge: float = 1e-3) -> Field:
     """A field fitted to (html, labels) by gradient steps on the conditional likelihood, all pages at once."""
     found = [(features(leaf_blocks(p)), y) for p, y in pages]
@@ -329,25 +358,7 @@ def train(pages, steps: int = 250, rate: float = 0.1, ridge: float = 1e-3) -> Fi
         [(y[:, 0] == a).sum() for a in (0, 1)], [(y[every, last] == a).sum() for a in (0, 1)],
     ])
     for step in range(1, steps + 1):
-        w, moves, start, end = np.split(theta, np.cumsum(sizes)[:-1])
-        moves = moves.reshape(2, 2)
-        score = np.zeros((n, longest, 2))
-        score[:, :, 1] = x @ w.astype(np.float32)
-        ahead, behind = np.zeros_like(score), np.zeros_like(score)
-        ahead[:, 0] = score[:, 0] + start
-        for j in range(1, longest):
-            new = np.logaddexp(ahead[:, j - 1, :1] + moves[0], ahead[:, j - 1, 1:] + moves[1]) + score[:, j]
-            ahead[:, j] = np.where(on[:, j, None], new, ahead[:, j - 1])
-        behind[:] = end
-        for j in range(longest - 2, -1, -1):
-            nxt = score[:, j + 1] + behind[:, j + 1]
-            new = np.stack([np.logaddexp(moves[a, 0] + nxt[:, 0], moves[a, 1] + nxt[:, 1]) for a in (0, 1)], 1)
-            behind[:, j] = np.where(on[:, j + 1, None], new, end)
-        total = np.logaddexp(ahead[every, last, 0] + end[0], ahead[every, last, 1] + end[1])
-        prob = np.exp(ahead + behind - total[:, None, None]) * on[:, :, None]
-        pair = np.exp(ahead[:, :-1, :, None] + moves + (score[:, 1:] + behind[:, 1:])[:, :, None, :] - total[:, None, None, None]) * on[:, 1:, None, None]
-        expected = np.concatenate([np.einsum("ijf,ij->f", x, prob[:, :, 1]), pair.sum((0, 1)).ravel(), prob[:, 0].sum(0), prob[every, last].sum(0)])
-        slope = (expected - gold) / n + ridge * theta
+        slope = loss(theta, x, on, gold)[1] + ridge * theta
         first, second = 0.9 * first + 0.1 * slope, 0.999 * second + 0.001 * slope**2
         theta -= rate * (first / (1 - 0.9**step)) / (np.sqrt(second / (1 - 0.999**step)) + 1e-8)
     w, moves, start, end = np.split(theta, np.cumsum(sizes)[:-1])
