@@ -71,7 +71,7 @@ def moved(spark, run):
     return out, sum(n for stage, n in total().items() if stage not in before)
 
 
-WALKS = ["dual_violations", "dual_violations_customer"]
+WALKS = ["dual_violations", "dual_violations_customer", "neighborhood"]
 
 
 @pytest.mark.parametrize("name", WALKS)
