@@ -71,7 +71,7 @@ def moved(spark, run):
     return out, sum(n for stage, n in total().items() if stage not in before)
 
 
-WALKS = ["dual_violations", "dual_violations_customer", "neighborhood", "neighborhood_bp", "edge_index", "successors", "successors_two_contigs", "local_haplotypes", "walk_nodes", "walk_two_contigs"]
+WALKS = ["dual_violations", "dual_violations_customer", "neighborhood", "neighborhood_bp", "edge_index", "successors", "successors_two_contigs", "local_haplotypes", "walk_nodes", "walk_two_contigs", "node_index"]
 
 
 @pytest.mark.parametrize("name", WALKS)
