@@ -45,7 +45,7 @@ def test_spans_equal_steps(spark):
                 assert got == want
 
 
-CODED = ["encode_walk_supplier", "decode_prefix", "decode_walk_supplier", "decode_blocks_walk_supplier", "incremental_touched"]
+CODED = ["encode_walk_supplier", "decode_prefix", "decode_walk_supplier", "decode_blocks_walk_supplier", "incremental_touched", "ondisk_ratio"]
 
 
 @pytest.mark.parametrize("name", CODED)
