@@ -9,6 +9,8 @@ import pytest
 import __spark_entry__
 from carrierpath.operators import codec, markov, prefix, shards
 
+from .test_runs import lines, moved  # noqa: F401
+
 
 def test_two_queues_equal_the_heap():
     r = random.Random(1)
@@ -47,6 +49,22 @@ def test_shards_equal_the_coder_of_steps(spark, monkeypatch):
         assert got == [(i, at, number[w], "ok") for i, own in walks for at, w in enumerate(own)]
 
 
+def test_joined_blocks_move_no_walks(spark, lines):  # noqa: F811
+    query = __spark_entry__.queries()
+    got, rows = moved(spark, lambda: query["decode_blocks_joined_walk_supplier"](spark, lines).collect())
+    assert got and rows < 15_000  # the walks have some 36,000 nodes
+    assert sorted(got) == sorted(query["decode_blocks_walk_supplier"](spark, lines).collect())
+
+
+def test_blocks_of_a_shard_share_their_codes(spark):
+    """A common context met its whole alphabet once for each block: 400 times 200 codes here."""
+    paths = spark.createDataFrame([(i, [0, 1 + i % 200, 0, 1 + (7 * i) % 200]) for i in range(400)], "path_id long, nodes array<long>").coalesce(2).cache()
+    book = codec.fit(paths).checkpoint()
+    blocks = codec.encode_blocks(paths, book, 4).checkpoint()
+    got, rows = moved(spark, lambda: codec.decode_blocks_joined(blocks, codec.block_contexts(paths, 4), book, 500).collect())
+    assert sorted(map(tuple, got)) == sorted((r["path_id"], i, x, "ok") for r in paths.collect() for i, x in enumerate(r["nodes"])) and rows < 20_000
+
+
 @pytest.mark.parametrize("few", [0, 1000])
 def test_streams_together_equal_streams_alone(spark, monkeypatch, few):
     """Whole streams, cut ones, wrong contexts and books without some codes."""
@@ -58,8 +76,10 @@ def test_streams_together_equal_streams_alone(spark, monkeypatch, few):
         (x["n_bits"], markov.START, x["n_symbols"]), (x["n_bits"] // 2, markov.START, 99), (x["n_bits"], 2, 99), (x["n_bits"], markov.START, 4), (x["n_bits"], 999, 5))]
     packed = codec._decoder(book).value[0]
     packed = [x.astype(np.int64) for x in packed]
-    for own in (packed, [x[np.arange(len(x)) % 7 > 0] for x in packed]):
-        stream, step, node, status = shards.Together(own).decode(*(np.array([s[i] for s in streams]) for i in (2, 3, 1)), pa.array([s[0] for s in streams], pa.binary()))
+    for own, wide in ((packed, 0), ([x[np.arange(len(x)) % 7 > 0] for x in packed], 0), (packed, 1)):
+        together = shards.Together(own)
+        together.alone = codec.Decoder(own) if wide else together.alone
+        stream, step, node, status = together.decode(*(np.array([s[i] for s in streams]) for i in (2, 3, 1)), pa.array([s[0] for s in streams], pa.binary()))
         alone = codec.Decoder(own)
         for i, (data, n_bits, ctx, most) in enumerate(streams):
             want = [x for _, _, x, _ in alone.steps(data, n_bits, ctx, most) if x != "runaway"]
