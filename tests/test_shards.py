@@ -86,3 +86,30 @@ def test_streams_together_equal_streams_alone(spark, monkeypatch, few):
             mine = stream == i
             assert step[mine].tolist() == list(range(len(want)))
             assert [["ok", "invalid_prefix", "truncated"][z] if z else x for x, z in zip(node[mine].tolist(), status[mine].tolist(), strict=True)] == want
+
+
+def test_values_are_joined_like_text():
+    r = random.Random(8)
+    size = np.array([r.choice([0, 1, 3, 12, 31, 52]) for _ in range(3000)])
+    value = np.array([r.getrandbits(int(n)) if n else 0 for n in size], dtype=np.int64)
+    text = "".join(f"{v:0{n}b}" if n else "" for v, n in zip(value.tolist(), size.tolist(), strict=True))
+    width = -(-len(text) // 8) * 8
+    assert shards.joined(value, size, np.cumsum(size) - size, width) == int(text.ljust(width, "0"), 2).to_bytes(width // 8, "big")
+    assert shards.joined(value[size == 0], size[size == 0], size[size == 0], 0) == b""
+
+
+def test_a_shard_holds_few_arrays_of_its_steps():
+    """Numbering the steps of a shard held ten arrays of eight bytes a step, and workers kept what was freed."""
+    import tracemalloc
+
+    n, r = 400_000, np.random.default_rng(3)
+    local = r.integers(0, 5000, n) * (r.random(n) < 0.02)  # few distinct transitions
+    rows = [(0, -1, n, shards.pack(np.arange(40)), shards.pack(np.full(40, n // 40)), shards.pack(local)), (1, 0, 7, shards.pack(np.diff(np.arange(5000), prepend=0)), shards.pack(np.arange(5000)), None)]
+    tracemalloc.start()
+    own = shards.Shard(rows)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 8 * 6 * n and own.steps.nbytes <= 4 * (n + 40)
+    walks = [[x + 7 for x in w.tolist()] for w in np.split(local, 40)]
+    want = {(c, s) for w in walks for c, s in zip([markov.START, *w], [*w, markov.STOP], strict=True)}
+    assert list(zip(own.ctx.tolist(), own.sym.tolist(), strict=True)) == sorted(want) and own.n.sum() == n + 40
