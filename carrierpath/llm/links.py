@@ -23,6 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.memory import trimmed
 from .common import cut, partitions, sized
 
 #: Candidates of one query that are searched at once, and that go to one task.
@@ -137,7 +138,7 @@ def verified(pairs: DataFrame, sets: DataFrame, rows: int, percent: int = 80) ->
             yield flush()
 
     both = queries.unionByName(blocks).repartition(partitions(pairs.sparkSession), "x", "part").sortWithinPartitions("x", "part", "kind", "y")
-    return both.mapInArrow(run, "x long, y long")
+    return both.mapInArrow(trimmed(run), "x long, y long")
 
 
 # Components ---------------------------------------------------------------------------
@@ -276,7 +277,7 @@ def family_links(left: DataFrame, sets: DataFrame, rows: int, percent: int, docs
         if at:
             yield flush()
 
-    return cells.repartition(partitions(spark), "family", "i", "j").sortWithinPartitions("family", "i", "j", "doc").mapInArrow(run, "x long, y long")
+    return cells.repartition(partitions(spark), "family", "i", "j").sortWithinPartitions("family", "i", "j", "doc").mapInArrow(trimmed(run), "x long, y long")
 
 
 def classes(lists: DataFrame, sets: DataFrame, percent: int = 80, docs: int = CELL_DOCS, hashes: int = CELL_HASHES) -> DataFrame:

@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.memory import trimmed
 from .common import cut, one_of_each_key, partitions, row_key, sized, text_of
 from .links import classes
 from .minhash import WORDS, shingle_sets
@@ -66,7 +67,7 @@ def described(docs: DataFrame, words: int = WORDS) -> DataFrame:
                 keys.append(set_key(own))
             yield pa.record_batch([b.column(0), pa.array(sizes, pa.int64()), pa.array(keys, pa.binary()), *b.columns[2:]], names=["doc", "n", "key", *more])
 
-    return docs.mapInArrow(run, ", ".join(["doc long, n long, key binary", *(f"{c} string" for c in more)]))
+    return docs.mapInArrow(trimmed(run), ", ".join(["doc long, n long, key binary", *(f"{c} string" for c in more)]))
 
 
 #: What the tasks of the prefix count send each other: for a bucket of hashes, hashes and documents; for a bucket
@@ -181,9 +182,9 @@ def candidates(docs: DataFrame, words: int = WORDS, percent: int = PERCENT, more
             alive = shared[np.searchsorted(docs_, known)] >= least
             yield pa.record_batch([pa.array(known[alive]), pa.array([k.tobytes() for k in keys[alive]], pa.binary())], names=["doc", "key"])
 
-    packed = docs.where(F.col("doc").isNotNull()).mapInArrow(send, _PACKED)
-    met = packed.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(meet, _PACKED)
-    alive = met.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(add, "doc long, key binary")
+    packed = docs.where(F.col("doc").isNotNull()).mapInArrow(trimmed(send), _PACKED)
+    met = packed.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(trimmed(meet), _PACKED)
+    alive = met.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(trimmed(add), "doc long, key binary")
     return alive.groupBy("key").agg(F.min("doc").alias("doc"))
 
 
@@ -202,7 +203,7 @@ def whole_sets(docs: DataFrame, words: int = WORDS) -> DataFrame:
                 part = [np.sort(s) for s in sets[at : at + 256]]
                 yield pa.record_batch([b.column(0).slice(at, len(part)), pa.array(part, pa.list_(pa.int64()))], names=["doc", "hashes"])
 
-    return docs.mapInArrow(run, "doc long, hashes array<long>")
+    return docs.mapInArrow(trimmed(run), "doc long, hashes array<long>")
 
 
 def rare_first_lists(sets: DataFrame, percent: int = PERCENT) -> DataFrame:

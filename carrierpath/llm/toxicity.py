@@ -31,6 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..functions.memory import trimmed
 from .common import cut, text_of
 
 #: Most labelled rows that the model is fitted on; it holds all their entries that pass the tests.
@@ -125,7 +126,7 @@ def token_counts(texts: DataFrame) -> DataFrame:
             part = both[at : at + 50_000]
             yield pa.record_batch([pa.array(part, pa.string()), *(pa.array([c[t] for t in part], pa.int64()) for c in counts)], names=["token", "toxic", "other"])
 
-    partial = once.select("text", (F.col("toxic") > 0).cast("int").alias("toxic")).mapInArrow(run, "token string, toxic long, other long")
+    partial = once.select("text", (F.col("toxic") > 0).cast("int").alias("toxic")).mapInArrow(trimmed(run), "token string, toxic long, other long")
     return partial.groupBy("token").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other"))
 
 
@@ -227,7 +228,7 @@ def passages(docs: DataFrame, model: Model, with_text: bool = False) -> DataFram
     fields = docs.schema.fields
     segment = T.StructType().add("begin", T.IntegerType()).add("end", T.IntegerType()).add("score", "double")
     made = T.StructType().add("n_tokens", "long").add("segments", T.ArrayType(segment))
-    return docs.mapInArrow(run, T.StructType([fields[0], *made.fields, *fields[first:]]))
+    return docs.mapInArrow(trimmed(run), T.StructType([fields[0], *made.fields, *fields[first:]]))
 
 
 def _logistic(bins: list[tuple[float, int, int]]) -> tuple[float, float]:
