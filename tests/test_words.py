@@ -49,3 +49,12 @@ def test_decoder_forgets_and_unpacks_again(spark, monkeypatch):
     for r in codec.encode(paths, book).collect():
         assert [sym for _, _, sym, _ in decoder.steps(r["bits"], r["n_bits"])] == [*nodes[r["path_id"]], markov.STOP]
     assert len(decoder.codes) < 42
+
+
+def test_short_documents_are_read_once(spark):
+    """The index and the paths each went through the table of all documents again."""
+    from carrierpath.sources import fixtures
+
+    own = fixtures.word_paths(spark, "/root/testdata/sf0.001", 400)
+    assert "parquet" not in own._jdf.queryExecution().toString().lower()
+    assert own.count() == fixtures.word_arrays(spark, "/root/testdata/sf0.001", 400).selectExpr("sum(size(labels))").first()[0]
