@@ -23,3 +23,10 @@ def test_files_do_not_hold_each_node_of_each_walk(spark, tmp_path, monkeypatch):
     assert n == 200 * 40_000 and got.select("path_id", "seq").distinct().count() == n
     assert got.where("node <> concat(if(node like 'A%', 'A', 'R'), seq)").count() == 0 and got.where("node like 'A%'").count() == 67
     assert sum(f.stat().st_size for f in pathlib.Path(at).glob("*.parquet")) < 2 * n  # two bytes for each node
+
+
+def test_two_contigs_keep_their_nodes_apart(spark):
+    """A tile that two contigs share, and an alternative before all segments."""
+    own = spark.createDataFrame([(i, c, at, node, None, a, z) for i in range(40) for c, at, node, a, z in (("c0", None, None, 0, -1), ("c0", -100, "A7", 0, 299), ("c1", None, None, 300, 599))], "path_id long, contig string, at long, node string, allele_id long, first long, last long")
+    got = sorted(runs.numbered(own).where("path_id = 39").select("seq", "contig", "node").collect())
+    assert [tuple(r) for r in got] == [(0, "c0", "A7"), *((i + 1, f"c{i // 300}", f"R{i}") for i in range(600))]
