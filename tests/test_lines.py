@@ -1,12 +1,18 @@
 """Walks of runs coded stretch by stretch, against the same walks coded from all their nodes."""
 
+import pathlib
 import random
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+import __spark_entry__
 from carrierpath.operators import codec
+from carrierpath.operators import runs as runs_
+from carrierpath.plans import queries
+
+from .test_runs import lines  # noqa: F401
 
 RUNS = "path_id long, heads array<long>, firsts array<long>, lasts array<long>"
 
@@ -55,3 +61,36 @@ def test_only_steps_beside_alternatives_are_looked_up(spark, monkeypatch):
     got = [x for _, _, *x in line.coded(runs)]
     assert sum(looked) == 50 * 4
     assert sum(int(width.sum()) for _, width, *_ in got) == 50 * len(encoder.bits(encoder.codes(np.array(nodes.first()["nodes"]))))
+
+
+def test_stretches_listed_together_equal_steps(spark):
+    """Whole streams, cut ones, and ones of another book, along a likeliest walk of several tiles."""
+    r = random.Random(6)
+    usual = [i * 7 % 1_400 for i in range(1_400)]
+    walks_ = [[r.randint(1_400, 1_500) if r.random() < 0.01 else x for x in usual] for _ in range(20)] + [[], usual, usual[:5], usual[700:]]
+    paths = spark.createDataFrame(list(enumerate(walks_)), "path_id long, nodes array<long>").coalesce(2).cache()
+    rows = lambda df: sorted(map(repr, df.collect()))
+    for escape in ("off", "reserved"):
+        book = codec.fit(paths, escape=escape).cache()
+        good = codec.encode_by_row(paths, book).cache()
+        for encoded in (good, good.withColumn("n_bits", F.floor(F.col("n_bits") * 0.7)), codec.encode_by_row(paths, codec.fit(paths.where("path_id % 2 = 0")))):
+            assert rows(codec.decode_alike(encoded, book)) == rows(codec.decode(encoded, book))
+
+
+def test_decoded_files_do_not_hold_each_node_of_each_walk(spark, lines, tmp_path, monkeypatch):  # noqa: F811
+    """200 walks of some 30,000 nodes: the query's result takes less than two bytes a row."""
+    monkeypatch.setattr(runs_, "GROUPS", 1, raising=False)
+    nodes = [*range(30_000)]
+    paths = spark.createDataFrame([(i, nodes if i % 2 else [*nodes[: 100 * i], 40_000, *nodes[100 * i + 1 :]]) for i in range(200)], "path_id long, nodes array<long>").repartition(8).cache()
+    book = codec.fit(paths).cache()
+    monkeypatch.setattr(queries, "_encoded", lambda *_: (codec.encode_by_row(paths, book), book))
+    at = str(tmp_path / "nodes")
+    __spark_entry__.queries()["decode_walk_supplier"](spark, lines).write.parquet(at)
+    assert spark.read.parquet(at).distinct().count() == 200 * 30_000
+    assert sum(f.stat().st_size for f in pathlib.Path(at).glob("*.parquet")) < 2 * 200 * 30_000
+
+
+def test_likeliest_walk_goes_on_where_only_the_end_is_as_short(spark):
+    """Between two codes of one bit, the end's is there by smoothing alone."""
+    book = codec.fit(spark.createDataFrame([(i, list(range(50))) for i in range(3)], "path_id long, nodes array<long>"))
+    assert codec.Decoder(*codec._decoder(book).value).chain()[1].tolist() == [*range(50), -2]
