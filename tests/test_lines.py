@@ -94,3 +94,12 @@ def test_likeliest_walk_goes_on_where_only_the_end_is_as_short(spark):
     """Between two codes of one bit, the end's is there by smoothing alone."""
     book = codec.fit(spark.createDataFrame([(i, list(range(50))) for i in range(3)], "path_id long, nodes array<long>"))
     assert codec.Decoder(*codec._decoder(book).value).chain()[1].tolist() == [*range(50), -2]
+
+
+def test_a_block_on_the_likeliest_walk_is_one_span(spark):
+    paths = spark.createDataFrame([(i, list(range(100))) for i in range(3)], "path_id long, nodes array<long>").coalesce(1)
+    book = codec.fit(paths).cache()
+    decoder = codec.Decoder(*codec._decoder(book).value)
+    blocks = codec.encode_blocks_by_row(paths, book, 32).where("path_id = 0").orderBy("block_no").collect()
+    got = [[x.tolist() for x in decoder.spans(bytes(b["bits"]), b["n_bits"], b["entry_ctx"], b["n_symbols"]) if not isinstance(x, str)] for b in blocks]
+    assert got == [[[*range(lo, min(lo + 32, 100)), *[-2] * (lo == 96)]] for lo in range(0, 100, 32)]
